@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import bpe, licenses, mixing, quality_knn, quality_rules, secrets, simhash, toxicity, warc
+from . import ann, bpe, licenses, mixing, quality_knn, quality_rules, secrets, simhash, toxicity, warc
 from .common import table
 
 
@@ -42,11 +43,15 @@ def op8_temperature_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_report(table(spark, sf_dir, "documents"))
 
 
+def op9_cross_polytope(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ann.search(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 100 == 0)
+
+
 def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_digests(table(spark, sf_dir, "documents"), bpe.public_codec())
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_simhash_groups, op2_warc_archives, op3_license_scan, op4_toxicity, op5_secret_scan, op6_adaptive_quality, op7_quality_neighbours, op8_temperature_mix, op10_byte_bpe)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_simhash_groups, op2_warc_archives, op3_license_scan, op4_toxicity, op5_secret_scan, op6_adaptive_quality, op7_quality_neighbours, op8_temperature_mix, op9_cross_polytope, op10_byte_bpe)}
 #: DuckDB twins.
 ORACLES: dict[str, str] = {
     "op2_warc_archives": """

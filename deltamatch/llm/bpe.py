@@ -195,17 +195,20 @@ class ByteCodec:
         return b"".join(map(self.words.__getitem__, np.frombuffer(ids, dtype="<u4").tolist()))
 
 
-def encode_documents(docs: DataFrame, codec: ByteCodec, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, ids binary, decoded binary): little-endian 32-bit ids and the bytes they decode to, of every whole text."""
+def encode_documents(docs: DataFrame, codec: ByteCodec) -> DataFrame:
+    """(doc_id, source, n_tokens, ids binary, decoded_sha256): little-endian 32-bit ids of every whole text, and a digest of what they decode to."""
 
     def run(batches: Iterator[dict]) -> Iterator[dict]:
         for got in batches:
-            size = 512  # ids take more room than the text
-            for at in range(0, len(got["key"]), size):
-                ids = [codec.encode(t or "") for t in got["body"][at : at + size]]
-                yield {"doc_id": got["key"][at : at + size], "ids": ids, "decoded": [codec.decode(x) for x in ids]}
-
-    return map_rows(docs, [F.col(id_col).cast("bigint").alias("key"), F.col(text_col).alias("body")], "doc_id bigint, ids binary, decoded binary", run)
+            for at in range(0, len(got["key"]), 512):  # ids take more room than the text
+                ids = [codec.encode(t or "") for t in got["body"][at : at + 512]]
+                yield {
+                    "doc_id": got["key"][at : at + 512], "source": got["source"][at : at + 512], "n_tokens": [len(x) // 4 for x in ids],
+                    "ids": ids, "decoded_sha256": [sha256(codec.decode(x)).hexdigest() for x in ids],
+                }
+
+    columns = [F.col("doc_id").cast("bigint").alias("key"), F.col("source").cast("string").alias("source"), F.col("text").alias("body")]
+    return map_rows(docs, columns, "doc_id bigint, source string, n_tokens bigint, ids binary, decoded_sha256 string", run)
 
 
 def encode_digests(docs: DataFrame, codec: ByteCodec) -> DataFrame:

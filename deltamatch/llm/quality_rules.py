@@ -68,7 +68,8 @@ def with_counts(docs: DataFrame, text_col: str = "text") -> DataFrame:
         (F.octet_length("__text") - F.octet_length(bare)).cast("bigint").alias("n_symbols"),
         (F.size("__lines") - F.size(F.array_distinct("__lines"))).cast("bigint").alias("n_dup_lines"),
         F.coalesce(F.when(m >= 2, F.size(F.array_distinct(F.flatten(covered)))), F.lit(0)).cast("bigint").alias("n_repeat_words"),
-        F.size("__lines").cast("bigint").alias("q_lines"),
+        # Adds zero, but keeps the planner from moving filters, and with them copies of all the above, below this step.
+        (F.size("__lines") + F.least(F.monotonically_increasing_id(), F.lit(0))).cast("bigint").alias("q_lines"),
     )
 
 

@@ -70,6 +70,23 @@ def forest(values: np.ndarray, max_bits: int) -> list[tuple[int, int]]:
     return out
 
 
+def nearest_forest(values: np.ndarray, max_bits: int) -> list[tuple[int, int]]:
+    """A spanning forest of the shortest links: two values within max_bits are joined over links no longer than their own."""
+    left, out = values.astype("<i8").view("<u8"), []
+    while len(left):
+        at, left = left[0], left[1:]
+        from_, far = np.full(len(left), at), np.bitwise_count(left ^ at).astype(np.int16)
+        while len(left) and far.min() <= max_bits:
+            i = int(far.argmin())
+            at = left[i]
+            out.append((int(from_[i].view("<i8")), int(at.view("<i8"))))
+            left, from_, far = np.delete(left, i), np.delete(from_, i), np.delete(far, i)
+            new = np.bitwise_count(left ^ at)
+            nearer = new < far
+            far[nearer], from_[nearer] = new[nearer], at
+    return out
+
+
 def _splits(bits: list[list[int]], drop: int) -> list[int]:
     """Masks over all choices of len(bits) - drop blocks; each block is a list of bit numbers."""
     return [sum(1 << b for block in chosen for b in block) for chosen in combinations(bits, len(bits) - drop)]
@@ -89,7 +106,7 @@ def _keyed(rows: DataFrame, masks: list[int], first: Column) -> DataFrame:
     return rows.select("fp", F.explode(keys).alias("k")).select("k.part", "k.key", "fp")
 
 
-def _linked(buckets: DataFrame, max_bits: int) -> DataFrame:
+def _linked(buckets: DataFrame, max_bits: int, forest) -> DataFrame:
     """Forest links (a, b) of each bucket (fps array)."""
 
     def run(batches: Iterator[dict]) -> Iterator[dict]:
@@ -100,22 +117,25 @@ def _linked(buckets: DataFrame, max_bits: int) -> DataFrame:
     return map_rows(buckets, ["fps"], "a bigint, b bigint", run)
 
 
-def links(fps: DataFrame, *, max_bits: int = 3, blocks: int = 6, crowd: int = 1024) -> DataFrame:
+def links(fps: DataFrame, *, max_bits: int = 3, blocks: int = 6, agree: int | None = None, crowd: int = 1024, forest=forest) -> DataFrame:
     """Links (a, b) that connect distinct fingerprints (fp) exactly as all pairs within max_bits bits would.
 
+    A larger `agree` than blocks - max_bits shortens the search: exact for pairs within
+    blocks - agree bits, and for the others found where their bits leave `agree` blocks alone.
+
     `blocks` sets the key length: 64 * (blocks - max_bits) / blocks bits, in C(blocks, max_bits)
     tables. 6 blocks (32 bits, 20 tables) keep chance buckets small up to about 10**9 distinct
     fingerprints, 9 blocks (43 bits, 84 tables) up to 10**12.
     """
-    if not 0 < max_bits < blocks <= 16:
-        raise ValueError("0 < max_bits < blocks <= 16 is required")
-    parts = _deal(list(range(64)), blocks)
-    masks = _splits(parts, max_bits)
+    loose = max_bits if agree is None else blocks - agree
+    if not (0 < loose <= max_bits and loose < blocks <= 16):
+        raise ValueError("1 <= blocks - agree <= max_bits and blocks <= 16 are required")
+    masks = _splits(_deal(list(range(64)), blocks), loose)
     keyed = _keyed(fps, masks, F.lit(0))
     many = keyed.groupBy("part", "key").agg(F.count("*").alias("n")).where("n > 1").select("part", rekeyed("key"), "n")
     met = cut(keyed.join(many, ["part", "key"]))
     small = met.where(F.col("n") <= crowd).repartition("part", "key").groupBy("part", "key").agg(F.collect_list("fp").alias("fps"))
-    found = _linked(small, max_bits)
+    found = _linked(small, max_bits, forest)
     crowded = met.where(F.col("n") > crowd)
     if crowded.isEmpty():
         return found
@@ -123,14 +143,14 @@ def links(fps: DataFrame, *, max_bits: int = 3, blocks: int = 6, crowd: int = 10
     rows = None
     for t, mask in enumerate(masks):
         open_bits = [b for b in range(64) if not mask >> b & 1]
-        finer = max_bits + 1
-        while len(_deal(open_bits, finer)[0]) * max_bits > 16:
+        finer = loose + 1
+        while len(_deal(open_bits, finer)[0]) * loose > 16:
             finer += 1
-        sub = [mask | m for m in _splits(_deal(open_bits, finer), max_bits)]
+        sub = [mask | m for m in _splits(_deal(open_bits, finer), loose)]
         own = _keyed(crowded.where(F.col("part") == t).select("fp"), sub, F.lit(t))
         rows = own if rows is None else rows.union(own)
     fine = rows.groupBy("part", "key").agg(F.collect_set("fp").alias("fps")).where(F.size("fps") > 1)
-    return found.union(_linked(fine, max_bits))
+    return found.union(_linked(fine, max_bits, forest))
 
 
 def groups(prints: DataFrame, *, max_bits: int = 3, blocks: int = 6, crowd: int = 1024) -> DataFrame:
@@ -148,3 +168,67 @@ def near_duplicates(docs: DataFrame, *, width: int = 3, max_bits: int = 3, block
     """(doc_id, fingerprint as 16 hex digits, component_id) of every document."""
     out = groups(fingerprints(docs, width=width), max_bits=max_bits, blocks=blocks)
     return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def word_print(text: str | None) -> int:
+    """Fingerprint over the distinct words: a changed word changes one of its features, not one for each shingle it is in."""
+    return fingerprint(" ".join({w.decode("utf-8", "surrogatepass") for w in (text or "").encode("utf-8", "surrogatepass").lower().split()}), 1)
+
+
+def shingle_hashes(text: str | None, width: int) -> list[int]:
+    """Hashes of the distinct word shingles."""
+    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
+    joined = [b" ".join(words)] if len(words) <= width else map(b" ".join, zip(*(words[i:] for i in range(width))))
+    return np.fromiter({xxhash.xxh64_intdigest(x) for x in joined}, dtype="<u8").view("<i8").tolist() if words else []
+
+
+def similar_groups(docs: DataFrame, *, width: int = 5, similarity: float = 0.8, max_bits: int = 10, blocks: int = 8, agree: int = 3) -> DataFrame:
+    """(doc_id, component_id): groups of equal texts and of texts whose sets of word shingles have a Jaccard similarity of at least `similarity`.
+
+    Equal texts fall together by digest. Candidates are fingerprints over distinct words, in
+    which pairs that alike lie a few bits apart: found through blocks, verified by Hamming
+    distance, thinned to shortest links, then verified by their shingle sets. Links within
+    blocks - agree bits are sure to be candidates, wider ones likely. Texts without words
+    are equal to each other. Rows with a null doc_id aren't grouped.
+    """
+
+    def run(batches: Iterator[dict]) -> Iterator[dict]:
+        for got in batches:
+            yield {"doc_id": got["doc_id"], "digest": got["digest"], "fp": [word_print(t) for t in got["text"]]}
+
+    rows = docs.where("doc_id is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), F.md5(F.coalesce("text", F.lit("")).cast("binary")).alias("digest"), "text")
+    prints = cut(map_rows(rows, ["doc_id", "digest", "text"], "doc_id bigint, digest string, fp bigint", run))
+    texts = cut(prints.groupBy("digest").agg(F.min("doc_id").alias("first"), F.min("fp").alias("fp")))
+    heads = cut(texts.groupBy("fp").agg(F.min("first").alias("head")))
+    near = links(heads.select("fp"), max_bits=max_bits, blocks=blocks, agree=agree, forest=nearest_forest).distinct()
+    ends = heads.select(rekeyed("fp"), "head")
+    pairs = near.join(ends, near.a == ends.fp).select(F.col("head").alias("x"), "b").join(ends, F.col("b") == ends.fp).select("x", F.col("head").alias("y"))
+    pairs = cut(pairs.union(texts.join(ends, "fp").where("first <> head").select(F.col("head").alias("x"), F.col("first").alias("y"))))
+
+    def hashed(batches: Iterator[dict]) -> Iterator[dict]:
+        for got in batches:
+            for at in range(0, len(got["doc_id"]), 512):
+                yield {"id": got["doc_id"][at : at + 512], "hashes": [shingle_hashes(t, width) for t in got["text"][at : at + 512]]}
+
+    asked = pairs.select(F.col("x").alias("doc_id")).union(pairs.select("y")).distinct()
+    # One row for an id, should several rows carry it.
+    sets = cut(map_rows(rows.join(asked, "doc_id", "left_semi"), ["doc_id", "text"], "id bigint, hashes array<bigint>", hashed)).groupBy("id").agg(F.first("hashes").alias("hashes"))
+    left, right = sets.select(rekeyed("id").alias("x"), F.col("hashes").alias("hx")), sets.select(rekeyed("id").alias("y"), F.col("hashes").alias("hy"))
+    both = F.size(F.array_intersect("hx", "hy"))
+    alike = pairs.join(left, "x").join(right, "y").where(both >= similarity * (F.size("hx") + F.size("hy") - both)).select(F.col("x").alias("a"), F.col("y").alias("b"))
+    joined = components(alike)
+    named = texts.join(joined, texts["first"] == joined.node, "left").select("digest", F.coalesce("root", "first").alias("component_id"))
+    return prints.join(named.select(F.concat("digest", F.lit("")).alias("digest"), "component_id"), "digest").select("doc_id", "component_id")
+
+
+def deduplicate(docs: DataFrame, **options) -> DataFrame:
+    """The rows of docs, with their own columns, of which one stays for each group: that with the smallest doc_id. Rows that repeat it count once; null ids stay."""
+    grouped = cut(similar_groups(docs, **options))
+    gone = grouped.where("doc_id <> component_id").select("doc_id").distinct()
+    again = grouped.groupBy("doc_id").count().where("count > 1").select("doc_id")
+    left = docs.join(gone, "doc_id", "left_anti").select(docs.columns)
+    if again.isEmpty():
+        return left
+    # Few ids are ever repeated; only their rows are compared.
+    single = left.join(again, "doc_id", "left_anti").select(docs.columns)
+    return single.union(left.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(docs.columns))

@@ -17,6 +17,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def micros(df: DataFrame, column: str) -> Column:
+    """Microseconds since 1970 of a timestamp; one without a zone counts as UTC whatever the session's zone is."""
+    if dict(df.select(F.col(column).alias("c")).dtypes)["c"] == "timestamp_ntz":
+        return F.unix_micros(F.from_utc_timestamp(F.col(column).cast("timestamp"), F.current_timezone()))
+    return F.unix_micros(column)
+
+
 def copurchase_edges(spark: SparkSession, sf_dir: str, *, dense: bool = False, most_quantity: float | None = None) -> DataFrame:
     """Parts that share an order among returned lines; the sparse form also asks for finished lines."""
     lines = table(spark, sf_dir, "lineitem").where(F.col("l_returnflag") == "R")
@@ -54,8 +61,9 @@ def temporal_edges(spark: SparkSession, sf_dir: str, minutes: int = 60) -> DataF
     The band join is an equi-join on type, properties and a time bucket, each event also looking into the bucket before.
     """
     span = minutes * 60
-    seconds = F.unix_micros("ts") / 1_000_000
-    base = table(spark, sf_dir, "events").select("user_id", "event_type", "props", "ts", seconds.alias("t"), F.floor(seconds / span).alias("bucket"))
+    events = table(spark, sf_dir, "events")
+    seconds = micros(events, "ts") / 1_000_000
+    base = events.select("user_id", "event_type", "props", "ts", seconds.alias("t"), F.floor(seconds / span).alias("bucket"))
     later = base.select(F.col("user_id").alias("u2"), "event_type", "props", F.col("ts").alias("ts2"), F.col("t").alias("t2"), F.explode(F.array(F.col("bucket"), F.col("bucket") - 1)).alias("bucket"))
     met = base.join(later, ["event_type", "props", "bucket"]).where(f"t2 >= t AND t2 - t <= {span} AND user_id <> u2")
     pairs = met.select(F.least("user_id", "u2").alias("src"), F.greatest("user_id", "u2").alias("dst"), "ts2")
@@ -132,10 +140,14 @@ def zipf_labels(ids: DataFrame, labels: int, s: float = 1.5) -> DataFrame:
 def decoys(spark: SparkSession, regions: int = 50) -> tuple[DataFrame, DataFrame]:
     """(vertices, updates) of the constructed exception: eight-vertex cliques whose last edge arrives as an update, and one true region with the tail.
 
-    Region r holds ids 100 r to 100 r + 7; the missing edge joins the first two. The true region is the last and carries its tail on the first vertex.
+    Region r holds ids 100 r to 100 r + 7; the missing edge joins the first two. The true
+    region is the last: it never gets that edge, carries its tail on the first vertex, and
+    waits for the edge between the third and the fourth.
     """
     core = spark.range(regions + 1).withColumnRenamed("id", "r").select("r", F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.lit(j).alias("j")) for i in range(8) for j in range(i + 1, 8)])).alias("e"))
-    core = core.select((F.col("r") * 100 + F.col("e.i")).alias("src"), (F.col("r") * 100 + F.col("e.j")).alias("dst"), F.when(F.col("e.i") + F.col("e.j") == 1, F.col("r") + 1).otherwise(F.lit(0)).cast("bigint").alias("seq"))
+    i, j, last = F.col("e.i"), F.col("e.j"), F.col("r") == regions
+    arrives = F.when(last, (i == 2) & (j == 3)).otherwise((i == 0) & (j == 1))
+    core = core.where(~(last & (i == 0) & (j == 1))).select((F.col("r") * 100 + i).alias("src"), (F.col("r") * 100 + j).alias("dst"), F.when(arrives, F.col("r") + 1).otherwise(F.lit(0)).cast("bigint").alias("seq"))
     top = regions * 100
     tail = spark.createDataFrame([(top, top + 8, 0), (top + 8, top + 9, 0)], "src bigint, dst bigint, seq bigint")
     edges = core.union(tail)

@@ -51,13 +51,13 @@ def expiring_stream(timed: DataFrame, hours: int = 24) -> DataFrame:
     """Edges (src, dst, ts) inserted at their time and deleted some hours later; seq follows (time, deletions first)."""
     adds = timed.select("src", "dst", "ts", F.lit("+").alias("op"))
     ends = timed.select("src", "dst", (F.col("ts") + F.expr(f"INTERVAL {hours} HOURS")).alias("ts"), F.lit("-").alias("op"))
-    key = F.concat(F.lpad(F.hex(F.unix_micros("ts")), 16, "0"), F.when(F.col("op") == "-", "0").otherwise("1"))
-    # Times share their leading digits: number by the digest-free order within days instead.
-    rows = adds.union(ends).withColumn("k", key).withColumn("d", F.date_trunc("day", F.col("ts")))
+    late = F.when(F.col("op") == "-", 0).otherwise(1)
+    # Days deal the rows out; counts of days give offsets.
+    rows = adds.union(ends).withColumn("late", late).withColumn("d", F.date_trunc("day", F.col("ts")))
     sizes = rows.groupBy("d").agg(F.count("*").alias("c"))
     before = F.coalesce(F.sum("c").over(Window.orderBy("d").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     rows = rows.join(F.broadcast(sizes.select(F.col("d").alias("d2"), before.alias("b"))), F.col("d") == F.col("d2"))
-    own = F.row_number().over(Window.partitionBy("d").orderBy("k", "src", "dst"))
+    own = F.row_number().over(Window.partitionBy("d").orderBy("ts", "late", "src", "dst"))
     return rows.select((F.col("b") + own).cast("bigint").alias("seq"), "op", "src", "dst", "ts")
 
 

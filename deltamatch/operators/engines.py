@@ -72,17 +72,17 @@ def _level(partials: DataFrame, steps: DataFrame, adj: DataFrame, cand: DataFram
     return pool.select("query_id", "anchor", "seq", F.transform("bind", lambda y, i: F.when(i == F.col("x"), F.col("w")).otherwise(y)).alias("bind"))
 
 
-def delta(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, cand: DataFrame | None = None, skips: DataFrame | None = None, sign: int = 1, sizes: dict[str, dict[int, int]] | None = None, seconds: float | None = None) -> Run:
+def delta(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, cand: DataFrame | None = None, skips: DataFrame | None = None, sign: int = 1, sizes: dict[str, dict[int, int]] | None = None, seconds: float | None = None, since: int = 0) -> Run:
     """Engine A: matches born (sign 1) or gone (sign -1) at each update, anchored at the changed edge.
 
     An update's matches use it as their newest edge: all other edges are older and alive, so
     each match appears once. skips: (query_id, seq) that a gate has ruled out. cand restricts
     every vertex. sizes makes matching orders follow candidate counts. The budget is checked
-    between levels; a run over it is flagged, never trimmed.
+    between levels; a run over it is flagged, never trimmed. Only updates after `since` count.
     """
     spark, began = versions.sparkSession, time.monotonic()
     at, other = (("valid_from", F.col("valid_from") > 0) if sign > 0 else ("valid_to", F.col("valid_to") < OPEN_END))
-    changed = versions.where(other).select(F.col(at).alias("seq"), "src", "dst")
+    changed = versions.where(other & (F.col(at) > since)).select(F.col(at).alias("seq"), "src", "dst")
     anchors = _anchors(queries, sizes)
     labels = vertices.select("id", F.coalesce("label", F.lit(-1)).alias("w_label"))
     adj = cut(both_ways(versions).join(labels.withColumnRenamed("id", "w"), "w", "left").select("v", "w", F.coalesce("w_label", F.lit(-1)).alias("w_label"), "valid_from", "valid_to"))

@@ -43,12 +43,12 @@ def data_side(updates: DataFrame, versions: DataFrame, rho: int, cap: int | None
     return all_counts(ball, edges, "seq"), packed(ball, edges, "seq")
 
 
-def decide(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, sign: int = 1, rhos: tuple[int, ...] = (1, 2), phis: tuple[str, ...] = PHIS, cap: int | None = 64, r: int = 4) -> DataFrame:
+def decide(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, sign: int = 1, rhos: tuple[int, ...] = (1, 2), phis: tuple[str, ...] = PHIS, cap: int | None = 64, r: int = 4, since: int = 0) -> DataFrame:
     """(query_id, seq, decision, killers): decision is "skip", "pass" or "label_skip"; killers has bit 4 (rho - 1) + i for each invariant i that disproved a mapping."""
     spark = versions.sparkSession
     before = sign < 0
     at, other = (("valid_to", F.col("valid_to") < OPEN_END) if before else ("valid_from", F.col("valid_from") > 0))
-    updates = cut(versions.where(other).select(F.col(at).alias("seq"), "src", "dst"))
+    updates = cut(versions.where(other & (F.col(at) > since)).select(F.col(at).alias("seq"), "src", "dst"))
     reg = register(spark, queries, rhos, r)
     ends = vertices.select("id", F.coalesce("label", F.lit(-1)).alias("label"))
     known = updates.join(ends.withColumnsRenamed({"id": "src", "label": "l1"}), "src", "left").join(ends.withColumnsRenamed({"id": "dst", "label": "l2"}), "dst", "left")

@@ -9,13 +9,14 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import ArrayType, DoubleType
 
 from deltamatch.operators.spectra import spectra_of
 
 from . import bounds
 
 
-@pandas_udf("array<double>")
+@pandas_udf(ArrayType(DoubleType()))
 def laplacian_top(ends: pd.Series, r: pd.Series) -> pd.Series:
     """Leading r eigenvalues of the graph whose edges are the flat array a0, b0, a1, b1, ..."""
     flat = [np.asarray(e if e is not None else [], dtype=np.int64) for e in ends]
@@ -23,7 +24,7 @@ def laplacian_top(ends: pd.Series, r: pd.Series) -> pd.Series:
     return pd.Series([s[: int(k)] for s, k in zip(spectra_of(np.array([len(set(e.tolist())) for e in flat]), flat, most), r)])
 
 
-@pandas_udf("array<double>")
+@pandas_udf(ArrayType(DoubleType()))
 def ball_spectrum(a: pd.Series, b: pd.Series) -> list[float]:
     """Grouped: all eigenvalues of the graph with the group's edges (a, b)."""
     flat = np.stack([a.to_numpy(), b.to_numpy()], axis=1).ravel()

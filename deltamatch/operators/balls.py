@@ -10,6 +10,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from deltamatch.session import cut
+
 from .graph import both_ways, degrees
 
 
@@ -26,7 +28,8 @@ def vertex_balls(adj: DataFrame, centers: DataFrame, h: int = 2, cap: int | None
             rich = ball.join(degree.where(F.col("degree") >= cap), ball.member == degree.v, "left_semi").select("center").distinct()
             ball = ball.join(rich, "center", "left_anti")
         far = ball.where(F.col("dist") == step - 1).join(hops, F.col("member") == F.col("v")).select("center", F.col("w").alias("member"), F.lit(step).alias("dist"))
-        ball = ball.union(far).groupBy("center", "member").agg(F.min("dist").alias("dist"))
+        # Each hop reads the ball several times, so it is written out.
+        ball = cut(ball.union(far).groupBy("center", "member").agg(F.min("dist").alias("dist")))
         if cap is not None:
             over = ball.groupBy("center").agg(F.count("*").alias("n")).where(F.col("n") > cap).select("center")
             ball = ball.join(over, "center", "left_anti")
@@ -71,7 +74,7 @@ def edge_balls(updates: DataFrame, versions: DataFrame, rho: int, cap: int | Non
     for step in range(1, rho + 1):
         far = ball.where(F.col("dist") == step - 1).join(hops, F.col("member") == F.col("v")).where((F.col("valid_from") <= at) & (at < F.col("valid_to")))
         far = far.select("seq", F.col("w").alias("member"), F.lit(step).alias("dist"))
-        ball = ball.union(far).groupBy("seq", "member").agg(F.min("dist").alias("dist"))
+        ball = cut(ball.union(far).groupBy("seq", "member").agg(F.min("dist").alias("dist")))
         if cap is not None:
             over = ball.groupBy("seq").agg(F.count("*").alias("n")).where(F.col("n") > cap).select("seq")
             ball = ball.join(over, "seq", "left_anti")

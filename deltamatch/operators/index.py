@@ -61,7 +61,7 @@ def balls_at(pairs: DataFrame, versions: DataFrame, h: int, cap: int | None) ->
     ball = pairs.select("key", "at", F.col("center").alias("member"), F.lit(0).alias("dist"))
     for step in range(1, h + 1):
         far = ball.where(F.col("dist") == step - 1).join(hops, F.col("member") == F.col("v")).where("valid_from <= at AND at < valid_to").select("key", "at", F.col("w").alias("member"), F.lit(step).alias("dist"))
-        ball = ball.union(far).groupBy("key", "at", "member").agg(F.min("dist").alias("dist"))
+        ball = cut(ball.union(far).groupBy("key", "at", "member").agg(F.min("dist").alias("dist")))
         if cap is not None:
             ball = ball.join(ball.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > cap).select("key"), "key", "left_anti")
     return ball

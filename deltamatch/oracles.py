@@ -113,14 +113,18 @@ _RULES = {
 }
 _BUCKET = "CASE WHEN nv <= 8 THEN '01-08' WHEN nv <= 16 THEN '09-16' WHEN nv <= 32 THEN '17-32' WHEN nv <= 64 THEN '33-64' ELSE '65-' END"
 _ALLSIZES = "al AS (SELECT center, count(*) AS nv FROM b2all GROUP BY center)"
-#: Balls within one hop of either end of each inserted edge, in the graph of that moment.
-_GATE = f"""{_versioned('v1')}, up AS (SELECT valid_from AS seq, src, dst FROM v1 WHERE valid_from > 0),
-gb AS (SELECT seq, src AS member FROM up UNION SELECT seq, dst FROM up UNION SELECT seq, w FROM up JOIN ax ON ax.v IN (src, dst) AND ax.f <= seq),
+def _gate(name: str, at: str, changed: str, alive: str, inside: str) -> str:
+    """Balls within one hop of either end of each changed edge, with their counts, in the graph of that moment."""
+    return f"""{_versioned(name)}, up AS (SELECT {at} AS seq, src, dst FROM {name} WHERE {changed}),
+gb AS (SELECT seq, src AS member FROM up UNION SELECT seq, dst FROM up UNION SELECT seq, w FROM up JOIN ax ON ax.v IN (src, dst) AND {alive}),
 gn AS (SELECT seq, count(*) AS nv FROM gb GROUP BY seq),
-gi AS (SELECT x.seq, v1.src AS a, v1.dst AS b FROM gb x JOIN v1 ON v1.src = x.member AND v1.valid_from <= x.seq JOIN gb y ON y.seq = x.seq AND y.member = v1.dst),
+gi AS (SELECT x.seq, {name}.src AS a, {name}.dst AS b FROM gb x JOIN {name} ON {name}.src = x.member AND {inside} JOIN gb y ON y.seq = x.seq AND y.member = {name}.dst),
 ge AS (SELECT seq, count(*) AS ne FROM gi GROUP BY seq),
 gt AS (SELECT p.seq, count(*) AS tri FROM gi p JOIN gi q ON q.seq = p.seq AND q.a = p.b JOIN gi r ON r.seq = p.seq AND r.a = p.a AND r.b = q.b GROUP BY p.seq),
 gs AS (SELECT up.seq, src, dst, nv, coalesce(ne, 0) AS ne, coalesce(tri, 0) AS tri FROM up LEFT JOIN gn USING (seq) LEFT JOIN ge USING (seq) LEFT JOIN gt USING (seq))"""
+
+
+_GATE = _gate("v1", "valid_from", "valid_from > 0", "ax.f <= seq", "v1.valid_from <= x.seq")
 _ZERO = "SELECT CAST(0 AS BIGINT) AS violations"
 _G4 = """WITH l AS (SELECT l_orderkey AS o, l_partkey AS p FROM lineitem WHERE l_returnflag = 'R' AND l_linestatus = 'F' GROUP BY ALL),
 x AS (SELECT o_custkey AS c, o, p FROM l JOIN orders ON o_orderkey = o GROUP BY ALL)"""
@@ -133,6 +137,23 @@ ORACLES: dict[str, str] = _deltas | {
     "edge_versions": _with("SELECT src, dst, valid_from, CAST(valid_to AS BIGINT) AS valid_to FROM v2"),
     "degree_table": _with("SELECT v, degree FROM deg"),
     "label_profile": _with("SELECT v, w_label, n FROM prof"),
+    "shared_line_edges": """WITH l AS (SELECT DISTINCT doc_id, trim(unnest(string_split(text, chr(10)))) AS line FROM documents),
+        f AS (SELECT line FROM l WHERE length(line) >= 40 GROUP BY line HAVING count(DISTINCT doc_id) BETWEEN 2 AND 20)
+        SELECT DISTINCT a.doc_id AS src, b.doc_id AS dst FROM l a JOIN f USING (line) JOIN l b ON b.line = a.line AND a.doc_id < b.doc_id""",
+    "page_link_fanout": """SELECT page_id AS page, count(DISTINCT href) AS links FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS href FROM pages) GROUP BY page_id""",
+    "trade_degrees": """WITH l AS (SELECT l_orderkey AS o, l_partkey AS p, l_suppkey AS s FROM lineitem WHERE l_returnflag = 'R' AND l_linestatus = 'F'),
+        e AS (SELECT DISTINCT 0 AS k1, o_custkey AS a, 1 AS k2, o_orderkey AS b FROM orders UNION SELECT 1, o, 2, p FROM l UNION SELECT 2, p, 3, s FROM l),
+        d AS (SELECT k, v, count(*) AS n FROM (SELECT k1 AS k, a AS v FROM e UNION ALL SELECT k2, b FROM e) GROUP BY ALL)
+        SELECT k AS kind, count(*) AS vertices, max(n) AS most FROM d GROUP BY k""",
+    "zipf_label_counts": """WITH u AS (SELECT CAST(concat('0x', left(md5(CAST(p_partkey AS VARCHAR)), 8)) AS BIGINT) / 4294967296.0 AS x FROM part),
+        w AS (SELECT 1.0::DOUBLE AS a, pow(2, -1.5) AS b, pow(3, -1.5) AS c, pow(4, -1.5) AS d)
+        SELECT CASE WHEN x < a / (a + b + c + d) THEN 1 WHEN x < (a + b) / (a + b + c + d) THEN 2 WHEN x < (a + b + c) / (a + b + c + d) THEN 3 ELSE 4 END AS label, count(*) AS n FROM u, w GROUP BY 1""",
+    "renewed_stream_births": _with(
+        f"SELECT CAST(born AS BIGINT) AS seq, count(*) AS matches FROM {_lives(pattern('triangle'))} WHERE born > 0 GROUP BY born",
+        f"v5 AS (SELECT src, dst, seq * 6 AS valid_from, CASE WHEN seq > 0 AND seq % 5 = 0 THEN seq * 6 + 2 ELSE {_END} END AS valid_to FROM s1 UNION ALL SELECT src, dst, seq * 6 + 4, {_END} FROM s1 WHERE seq > 0 AND seq % 5 = 0), {_versioned('v5')}"),
+    "deletion_gate": _with(
+        f"SELECT CASE WHEN nv <= {CAP} AND (nv < 4 OR ne < 6 OR tri < 4) THEN 'skip' ELSE 'pass' END AS decision, count(*) AS n FROM gs GROUP BY 1",
+        _gate("v2", "valid_to", f"valid_to < {_END}", "ax.f < seq AND ax.t >= seq", "v2.valid_from < x.seq AND v2.valid_to >= x.seq")),
     "temporal_user_edges": """SELECT least(a.user_id, b.user_id) AS src, greatest(a.user_id, b.user_id) AS dst, epoch_us(min(b.ts)) AS us FROM events a JOIN events b
         ON a.event_type = b.event_type AND a.props = b.props AND a.user_id <> b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR GROUP BY 1, 2""",
     "sliding_window_edges": """SELECT CAST(s AS BIGINT) AS start_us, count(*) AS n FROM (SELECT unnest([h, h - 3600000000]) AS s FROM (SELECT (epoch_us(ts) // 3600000000) * 3600000000 AS h FROM events WHERE ts IS NOT NULL)) GROUP BY s""",

@@ -463,7 +463,113 @@ def admission(spark, sf_dir):
     return engines.admit(list(LABELLED), X.base_candidates(list(LABELLED), edges, _vertices(spark, sf_dir)))
 
 
+# Other graphs, label rules and configurations
+
+
+def shared_line_edges(spark, sf_dir):
+    return graphs.shared_line_edges(spark, sf_dir)
+
+
+def page_link_fanout(spark, sf_dir):
+    """(page, links): distinct link targets of each page."""
+    return graphs.link_edges(spark, sf_dir).groupBy(F.col("src").alias("page")).agg(F.count("*").alias("links"))
+
+
+def trade_degrees(spark, sf_dir):
+    """(kind, vertices, most): sizes and hubs of the trade graph."""
+    degree = graph.degrees(graph.both_ways(graphs.trade_edges(spark, sf_dir)))
+    return degree.groupBy(F.floor(F.col("v") / graphs.KIND).cast("int").alias("kind")).agg(F.count("*").alias("vertices"), F.max("degree").alias("most"))
+
+
+def zipf_label_counts(spark, sf_dir):
+    ids = graphs.table(spark, sf_dir, "part").select(F.col("p_partkey").alias("id"))
+    return graphs.zipf_labels(ids, 4).groupBy("label").agg(F.count("*").alias("n"))
+
+
+def renewed_stream_births(spark, sf_dir):
+    """(seq, matches) of triangles over a stream in which every fifth insertion is taken back and renewed."""
+    versions = cut(streams.edge_versions(streams.renewed_stream(_edges(spark, sf_dir))))
+    run = engines.delta([pattern("triangle")], versions, _vertices(spark, sf_dir))
+    return engines.match_counts(run).select("seq", "matches")
+
+
+def temporal_triangles(spark, sf_dir):
+    """(born) triangle births over the stream of user edges that expire after a day, counted by whether they also die."""
+    versions = cut(streams.edge_versions(streams.expiring_stream(graphs.temporal_edges(spark, sf_dir))))
+    nobody = spark.createDataFrame([], "id bigint, label int")
+    lives = engines.lifetimes(pattern("triangle"), versions, nobody)
+    return lives.agg(F.count("*").alias("matches"))
+
+
+def deletion_gate(spark, sf_dir):
+    """(decision, n) of the count gate before deletions."""
+    log = gate.decide([pattern("clique4")], _mixed(spark, sf_dir), _vertices(spark, sf_dir), sign=-1, rhos=(1,), phis=("nv", "ne", "tri"))
+    return log.groupBy("decision").agg(F.count("*").alias("n"))
+
+
+def spectral_overlap(spark, sf_dir):
+    """(query_id, rejected, visited): candidates the spectral test rejects, and those in matches of the control."""
+    queries, edges, vertices = _dense(spark, sf_dir, (8,), 2)
+    versions = cut(streams.edge_versions(streams.insert_stream(edges)))
+    base = X.base_candidates(queries, edges, vertices)
+    held = cut(index.envelope(versions, base, r=8))
+    kept = cut(filters.passed(filters.ball_tests(base, queries, held, r=8)))
+    return X.overlap(queries, base, kept, engines.delta(queries, versions, vertices, cand=base))
+
+
+def order_feedback(spark, sf_dir):
+    """(query_id, order, bindings, matches): orders from the query alone against orders from candidate counts; matches agree, bindings may not."""
+    queries, edges, vertices = _dense(spark, sf_dir, (8,), 2)
+    versions = cut(streams.edge_versions(streams.insert_stream(edges)))
+    cand = X.base_candidates(queries, edges, vertices)
+    sizes: dict[str, dict[int, int]] = {q.name: dict.fromkeys(range(q.size), 0) for q in queries}
+    for r in cand.groupBy("query_id", "u").count().collect():  # a row per query vertex
+        sizes[r.query_id][r.u] = r["count"]
+    out = None
+    for name, by in (("query", None), ("counts", sizes)):
+        run = engines.delta(queries, versions, vertices, cand=cand, sizes=by)
+        found = run.matches.groupBy("query_id").agg(F.count("*").alias("matches"))
+        rows = engines.intermediates(run, queries).join(found, "query_id", "left").select("query_id", F.lit(name).alias("order"), F.col("all_levels").alias("bindings"), F.coalesce("matches", F.lit(0)).alias("matches"))
+        out = rows if out is None else out.union(rows)
+    return out
+
+
+def index_footprint(spark, sf_dir):
+    edges = _edges(spark, sf_dir)
+    adj = graph.both_ways(edges)
+    asked = adj.select("v").distinct()
+    held = cut(index.consult(adj, asked))
+    rev = index.reverse(balls.vertex_balls(adj, asked, 2, CAP))
+    return index.footprint(held, rev, graph.label_profile(graph.adjacency(edges, _vertices(spark, sf_dir))))
+
+
+def resync_changes(spark, sf_dir):
+    """(change, n): candidate pairs that the spectra after the whole stream admit again or reject, against those before it."""
+    queries, edges, vertices = _dense(spark, sf_dir, (8,), 2)
+    versions = cut(streams.edge_versions(streams.insert_stream(edges)))
+    cand = X.base_candidates(queries, edges, vertices)
+    before = cut(index.consult(graph.both_ways(streams.alive_at(versions, 0)), cand))
+    after = cut(index.consult(graph.both_ways(edges), cand))
+    return index.resync(queries, cand, before, after).groupBy("change").agg(F.count("*").alias("n"))
+
+
+def budgeted_run(spark, sf_dir):
+    """(seconds, solved): the same run under budgets checked between levels."""
+    queries, edges, vertices = _dense(spark, sf_dir, (8,), 1)
+    versions = cut(streams.edge_versions(streams.insert_stream(edges)))
+    rows = [(float(s), engines.delta(queries, versions, vertices, seconds=s).solved) for s in (0.0, 600.0)]
+    return spark.createDataFrame(rows, "seconds double, solved boolean")
+
+
+def random_graph_utility(spark, sf_dir):
+    """Rejection by ball size on a generated sparse graph."""
+    edges = cut(graphs.random_edges(spark, 1500))
+    vertices = cut(graphs.uniform_labels(spark.range(1500), 4))
+    return X.utility(X.power(sample(edges, vertices, "dense", 12, 2), edges, vertices))
+
+
 STRICT = [
+    shared_line_edges, page_link_fanout, trade_degrees, zipf_label_counts, renewed_stream_births, deletion_gate,
     copurchase_edges, copurchase_stream_90_10, mixed_stream_70_30, edge_versions, degree_table, label_profile, temporal_user_edges, sliding_window_edges, event_sessions, asof_version_lookup,
     ldf_candidates, nlf_candidates, propagation_two_rounds, candidate_space_scans, list_scan_cost, ball_sizes_h1, ball_sizes_h2, ball_edge_counts, ball_triangles, degree_overflow_screen,
     hub_excluded_components, conjugate_degree_ceiling, spectral_moments, closed_walks_are_triangles, reverse_index_fanout, coverage_by_cap, utility_bucket_sizes, report_rollup, mass_cost, ceilings_vs_lattice, bound_rules,
@@ -472,6 +578,7 @@ STRICT = [
 ]
 ROWS_ONLY = [
     vertex_spectra, interlace_candidates, component_attribution, utility_by_ball_size, retention_curve, rejection_margins, laplacian_gate, headroom_ratio, envelope_index, exact_index,
+    spectral_overlap, order_feedback, index_footprint, resync_changes, budgeted_run, random_graph_utility, temporal_triangles,
     static_construction, replication_matrix, second_engine, sparse_queries, admission,
 ]
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in STRICT} | {f"delta_{p}": _delta_of(p) for p in PATTERNS} | {f.__name__: f for f in ROWS_ONLY}

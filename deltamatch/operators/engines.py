@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from deltamatch.plans.query import Query
 from deltamatch.session import OPEN_END, cut
 
-from .graph import both_ways
+from .graph import ANY, both_ways, offered
 
 PARTIAL = "query_id string, anchor int, seq bigint, bind array<bigint>"
 
@@ -48,14 +48,15 @@ def _anchors(queries: list[Query], sizes: dict[str, dict[int, int]] | None = Non
 def _seeds(spark: SparkSession, queries: list[Query], anchors: list[tuple], changed: DataFrame, labels: DataFrame) -> DataFrame:
     """Partial matches of the anchor edge alone; changed: (seq, src, dst)."""
     size = {q.name: q.size for q in queries}
-    rows = [(n, a, u, w, lu, lw, size[n]) for n, a, u, w, lu, lw, _ in anchors]
+    known_as = lambda label: ANY if label is None else label
+    rows = [(n, a, u, w, known_as(lu), known_as(lw), size[n]) for n, a, u, w, lu, lw, _ in anchors]
     asked = F.broadcast(spark.createDataFrame(rows, "query_id string, anchor int, u int, w int, lu int, lw int, size int"))
     ends = labels.select(F.col("id"), F.coalesce("label", F.lit(-1)).alias("label"))
     known = changed.join(ends.withColumnsRenamed({"id": "src", "label": "l1"}), "src", "left").join(ends.withColumnsRenamed({"id": "dst", "label": "l2"}), "dst", "left")
-    fits = F.coalesce(F.col("lu") == F.coalesce("l1", F.lit(-1)), F.col("lu").isNull()) & F.coalesce(F.col("lw") == F.coalesce("l2", F.lit(-1)), F.col("lw").isNull())
+    known = known.select("seq", "src", "dst", "l2", offered("l1").alias("lu")).select("seq", "src", "dst", "lu", offered("l2").alias("lw"))
     # Both directions of an edge are anchors of their own, so the data edge is taken in one.
     bind = F.transform(F.sequence(F.lit(0), F.col("size") - 1), lambda i: F.when(i == F.col("u"), F.col("src")).when(i == F.col("w"), F.col("dst")))
-    return known.join(asked, fits).select("query_id", "anchor", "seq", bind.alias("bind"))
+    return known.join(asked, ["lu", "lw"]).select("query_id", "anchor", "seq", bind.alias("bind"))
 
 
 def _level(partials: DataFrame, steps: DataFrame, adj: DataFrame, cand: DataFrame | None, deleting: bool) -> DataFrame:

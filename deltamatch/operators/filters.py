@@ -11,14 +11,15 @@ from deltamatch.functions.bounds import EPSILON
 from deltamatch.plans.query import Query, padded_spectrum, query_vertices
 from deltamatch.session import cut
 
+from .graph import offered
 from .invariants import ball_degrees
 
 
 def label_degree(queries: list[Query], vertices: DataFrame, degree: DataFrame) -> DataFrame:
     """(query_id, u, v): vertices with u's label and at least its degree. The query side is a few rows."""
     wanted = query_vertices(vertices.sparkSession, queries)
-    rows = vertices.join(degree, vertices.id == degree.v).select("v", "label", "degree")
-    return rows.join(F.broadcast(wanted), F.coalesce(F.col("q_label") == F.col("label"), F.lit(True)) & (F.col("degree") >= F.col("q_degree"))).select("query_id", "u", "v")
+    rows = vertices.join(degree, vertices.id == degree.v).select("v", "degree", offered("label").alias("q_label"))
+    return rows.join(F.broadcast(wanted), "q_label").where("degree >= q_degree").select("query_id", "u", "v")
 
 
 def label_neighbour(cand: DataFrame, queries: list[Query], profile: DataFrame) -> DataFrame:

@@ -16,6 +16,7 @@ from deltamatch.plans.query import Query, invariant_values
 from deltamatch.session import OPEN_END, cut
 
 from .balls import edge_ball_edges, edge_balls, packed
+from .graph import ANY, offered
 from .invariants import all_counts
 from .spectra import laplacian_spectrum
 
@@ -52,8 +53,9 @@ def decide(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, si
     reg = register(spark, queries, rhos, r)
     ends = vertices.select("id", F.coalesce("label", F.lit(-1)).alias("label"))
     known = updates.join(ends.withColumnsRenamed({"id": "src", "label": "l1"}), "src", "left").join(ends.withColumnsRenamed({"id": "dst", "label": "l2"}), "dst", "left")
-    fits = F.coalesce(F.col("lu") == F.coalesce("l1", F.lit(-1)), F.col("lu").isNull()) & F.coalesce(F.col("lw") == F.coalesce("l2", F.lit(-1)), F.col("lw").isNull())
-    mappings = cut(known.join(F.broadcast(reg.select("query_id", "u", "w", "lu", "lw").distinct()), fits).select("seq", "query_id", "u", "w"))
+    known = known.select("seq", "l2", offered("l1").alias("lu")).select("seq", "lu", offered("l2").alias("lw"))
+    asked = reg.select("query_id", "u", "w", F.coalesce("lu", F.lit(ANY)).alias("lu"), F.coalesce("lw", F.lit(ANY)).alias("lw")).distinct()
+    mappings = cut(known.join(F.broadcast(asked), ["lu", "lw"]).select("seq", "query_id", "u", "w"))
     key = ["seq", "query_id", "u", "w"]
     killed = None
     left = mappings

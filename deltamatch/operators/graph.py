@@ -2,10 +2,19 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
+#: Stands for "any label" on the query side; data rows are offered under their own label and under this one.
+ANY = -2
+
+
+def offered(label: str) -> Column:
+    """A row for each label value under which a query may ask for a vertex, so that label tests stay equi-joins."""
+    return F.explode(F.array(F.coalesce(F.col(label), F.lit(-1)), F.lit(ANY)))
+
+
 def canonical_edges(edges: DataFrame) -> DataFrame:
     """Undirected edges once each, smaller end first; loops and null ends go."""
     return edges.where("src <> dst").select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).distinct()

@@ -153,5 +153,7 @@ def sample(edges: DataFrame, vertices: DataFrame, kind: str, size: int, count: i
 
 
 def query_vertices(spark: SparkSession, queries: list[Query]) -> DataFrame:
-    """(query_id, u, q_label, q_degree)."""
-    return spark.createDataFrame([(q.name, u, q.labels[u], len(q.near(u))) for q in queries for u in range(q.size)], "query_id string, u int, q_label int, q_degree int")
+    """(query_id, u, q_label, q_degree); a vertex without a label asks for ANY."""
+    from deltamatch.operators.graph import ANY
+
+    return spark.createDataFrame([(q.name, u, ANY if q.labels[u] is None else q.labels[u], len(q.near(u))) for q in queries for u in range(q.size)], "query_id string, u int, q_label int, q_degree int")

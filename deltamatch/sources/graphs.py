@@ -85,7 +85,9 @@ def neighbour_edges(spark: SparkSession, sf_dir: str, k: int = 3) -> DataFrame:
                 order = np.lexsort((np.broadcast_to(names, near.shape), -near.round(9)), axis=1)[:, :k]
                 yield pd.DataFrame({"a": np.repeat(ids, k), "b": names[order].ravel()})
 
-    held = rows.orderBy("vec_id").limit(20_000).collect()
+    held = rows.orderBy("vec_id").limit(20_001).collect()
+    if len(held) > 20_000:
+        raise ValueError("over 20,000 vectors: take an approximate search instead")
     names = np.array([r.vec_id for r in held])
     every = np.stack([r.v for r in held])
     every = every / np.linalg.norm(every, axis=1, keepdims=True)

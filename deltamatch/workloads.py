@@ -470,6 +470,11 @@ def shared_line_edges(spark, sf_dir):
     return graphs.shared_line_edges(spark, sf_dir)
 
 
+def neighbour_graph(spark, sf_dir):
+    """Each vector's three nearest by cosine, as edges."""
+    return graphs.neighbour_edges(spark, sf_dir)
+
+
 def page_link_fanout(spark, sf_dir):
     """(page, links): distinct link targets of each page."""
     return graphs.link_edges(spark, sf_dir).groupBy(F.col("src").alias("page")).agg(F.count("*").alias("links"))
@@ -578,7 +583,7 @@ STRICT = [
 ]
 ROWS_ONLY = [
     vertex_spectra, interlace_candidates, component_attribution, utility_by_ball_size, retention_curve, rejection_margins, laplacian_gate, headroom_ratio, envelope_index, exact_index,
-    spectral_overlap, order_feedback, index_footprint, resync_changes, budgeted_run, random_graph_utility, temporal_triangles,
+    spectral_overlap, order_feedback, index_footprint, resync_changes, budgeted_run, random_graph_utility, temporal_triangles, neighbour_graph,
     static_construction, replication_matrix, second_engine, sparse_queries, admission,
 ]
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in STRICT} | {f"delta_{p}": _delta_of(p) for p in PATTERNS} | {f.__name__: f for f in ROWS_ONLY}

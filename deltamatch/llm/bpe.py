@@ -147,7 +147,7 @@ def merge_bytes(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
 class ByteCodec:
     """Encoder and decoder over one rank file; small enough to travel with each task."""
 
-    MEMO = 1 << 19
+    MEMO = 1 << 18
 
     def __init__(self, ranks: dict[bytes, int], pattern: str):
         self.pattern = pattern

@@ -39,8 +39,16 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def small_batches(spark: SparkSession, rows: int = 1000) -> None:
+    """At most `rows` texts travel to a Python worker at once, so its memory and the JVM's Arrow buffers follow a few megabytes, not the default's 10,000 texts. A session setting that may change at any time."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key, "10000")) <= rows:
+        spark.conf.set(key, rows)
+
+
 def map_rows(df: DataFrame, columns: list[str | Column], schema: str, fn: Callable[[Iterator[dict]], Iterable[dict]]) -> DataFrame:
     """mapInArrow over the given columns; fn gets a dict of Python lists per batch and yields such dicts."""
+    small_batches(df.sparkSession)
     out = df.sparkSession.createDataFrame([], schema).schema
     arrow = pa.schema([(f.name, _ARROW[f.dataType.simpleString()]) for f in out])
 

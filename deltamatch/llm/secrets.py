@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import ByteCodec
-from .common import map_rows
+from .common import map_rows, small_batches
 
 KINDS = ("assign", "access", "hex", "random")
 _ASSIGN = re.compile(r"""(?:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.ASCII | re.IGNORECASE)
@@ -109,6 +109,7 @@ def redact(docs: DataFrame, codec: ByteCodec, mark: str = "[SECRET]") -> DataFra
     import pyarrow as pa
 
     names = docs.columns
+    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

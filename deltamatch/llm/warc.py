@@ -27,7 +27,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import map_rows, rekeyed, shared_dir
+from .common import map_rows, rekeyed, shared_dir, small_batches
 
 DICTIONARY_MAGIC = 0x184D2A5D
 #: An empty skippable frame; all of it is ASCII, so it can serve as a line separator.
@@ -151,6 +151,7 @@ def write_archives(pages: DataFrame, path: str, *, least_bytes: int = 100, archi
         if held:
             yield pa.RecordBatch.from_arrays([pa.array([archive(held)], pa.binary())], ["value"])
 
+    small_batches(pages.sparkSession)
     packed = met.mapInArrow(run, "value binary").select(F.col("value").cast("string").alias("value"))
     packed.write.mode("overwrite").option("lineSep", SEPARATOR).option("maxRecordsPerFile", 1).option("compression", "none").text(path)
 

@@ -59,7 +59,7 @@ def _seeds(spark: SparkSession, queries: list[Query], anchors: list[tuple], chan
     return known.join(asked, ["lu", "lw"]).select("query_id", "anchor", "seq", bind.alias("bind"))
 
 
-def _level(partials: DataFrame, steps: DataFrame, adj: DataFrame, cand: DataFrame | None, deleting: bool) -> DataFrame:
+def _level(partials: DataFrame, steps: DataFrame, adj: DataFrame, cand: DataFrame | None) -> DataFrame:
     """One more vertex for each partial match; steps: (query_id, anchor, x, x_label, back ARRAY<INT>)."""
     rows = partials.join(steps, ["query_id", "anchor"]).select("query_id", "anchor", "seq", "bind", "x", "x_label", F.size("back").alias("need"), F.explode("back").alias("b"))
     rows = rows.withColumn("v", F.get("bind", F.col("b")))
@@ -73,13 +73,24 @@ def _level(partials: DataFrame, steps: DataFrame, adj: DataFrame, cand: DataFram
     return pool.select("query_id", "anchor", "seq", F.transform("bind", lambda y, i: F.when(i == F.col("x"), F.col("w")).otherwise(y)).alias("bind"))
 
 
-def delta(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, cand: DataFrame | None = None, skips: DataFrame | None = None, sign: int = 1, sizes: dict[str, dict[int, int]] | None = None, seconds: float | None = None, since: int = 0) -> Run:
+def _verified(tried: DataFrame, rest: DataFrame, adj: DataFrame) -> DataFrame:
+    """Partial matches whose newest vertex also has the edges of rest: (query_id, anchor, x, rest ARRAY<INT>); those with nothing to verify stay."""
+    rows = tried.join(rest, ["query_id", "anchor"])
+    key = ["query_id", "anchor", "seq", "bind"]
+    asked = rows.where(F.size("rest") > 0).select(*key, F.get("bind", F.col("x")).alias("w"), F.size("rest").alias("need"), F.explode("rest").alias("b")).withColumn("v", F.get("bind", F.col("b")))
+    alive = (F.col("valid_from") < F.col("seq")) & (F.col("valid_to") > F.col("seq"))
+    held = asked.join(adj.select("v", "w", "valid_from", "valid_to"), ["v", "w"]).where(alive).groupBy(*key, "need").agg(F.count("*").alias("n")).where("n = need")
+    return rows.where(F.size("rest") == 0).select(*key).union(held.select(*key))
+
+
+def delta(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, cand: DataFrame | None = None, skips: DataFrame | None = None, sign: int = 1, sizes: dict[str, dict[int, int]] | None = None, seconds: float | None = None, since: int = 0, late: bool = False) -> Run:
     """Engine A: matches born (sign 1) or gone (sign -1) at each update, anchored at the changed edge.
 
     An update's matches use it as their newest edge: all other edges are older and alive, so
     each match appears once. skips: (query_id, seq) that a gate has ruled out. cand restricts
     every vertex. sizes makes matching orders follow candidate counts. The budget is checked
     between levels; a run over it is flagged, never trimmed. Only updates after `since` count.
+    With `late` a level grows along one edge and is counted before its other edges are verified.
     """
     spark, began = versions.sparkSession, time.monotonic()
     at, other = (("valid_from", F.col("valid_from") > 0) if sign > 0 else ("valid_to", F.col("valid_to") < OPEN_END))
@@ -96,9 +107,8 @@ def delta(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, can
             partials = partials.join(ends, ["query_id", "anchor"]).withColumn("v", F.get("bind", F.col("u"))).join(cand, ["query_id", "u", "v"], "left_semi").select("query_id", "anchor", "seq", "bind")
     by_name = {q.name: q for q in queries}
     done, levels, solved = [], [], True
-    depth = 2
+    depth, partials = 2, cut(partials)
     while True:
-        partials = cut(partials)
         full = [q.name for q in queries if q.size == depth]
         if full:
             done.append(partials.where(F.col("query_id").isin(full)).select("query_id", "seq", F.lit(sign).alias("sign"), "bind"))
@@ -113,10 +123,14 @@ def delta(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, can
             if n in going:
                 x = order[depth]
                 rows.append((n, a, x, by_name[n].labels[x], [y for y in order[:depth] if y in by_name[n].near(x)]))
-        steps = F.broadcast(spark.createDataFrame(rows, "query_id string, anchor int, x int, x_label int, back array<int>"))
-        partials = cut(_level(partials, steps, adj, cand, sign < 0))
+        grown = [(*row[:4], row[4][:1]) for row in rows] if late else rows
+        steps = F.broadcast(spark.createDataFrame(grown, "query_id string, anchor int, x int, x_label int, back array<int>"))
+        partials = cut(_level(partials, steps, adj, cand))
         depth += 1
         levels.append(partials.groupBy("query_id", "seq").agg(F.count("*").alias("n")).withColumn("level", F.lit(depth)))
+        if late:
+            rest = spark.createDataFrame([(n, a, x, back[1:]) for n, a, x, _, back in rows], "query_id string, anchor int, x int, rest array<int>")
+            partials = cut(_verified(partials, F.broadcast(rest), adj))
     none = spark.createDataFrame([], "query_id string, seq bigint, sign int, bind array<bigint>")
     matches = none
     for part in done:
@@ -128,11 +142,11 @@ def delta(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, can
 
 
 def delta_reduced(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, cand: DataFrame, skips: DataFrame | None = None, sign: int = 1) -> Run:
-    """Engine B: candidates are first narrowed towards and away from a root over all query edges, on every edge that ever lives, then expanded; it counts other sites than engine A."""
+    """Engine B: candidates are first narrowed towards and away from a root over all query edges, on every edge that ever lives; levels then grow along one edge, and bindings count before their other edges are verified, so its counters are compared within this engine only."""
     adj = both_ways(versions.select("src", "dst"))
     from .filters import propagate
 
-    return delta(queries, versions, vertices, cand=propagate(cand, queries, adj, "dag"), skips=skips, sign=sign)
+    return delta(queries, versions, vertices, cand=propagate(cand, queries, adj, "dag"), skips=skips, sign=sign, late=True)
 
 
 def match_counts(run: Run) -> DataFrame:
@@ -202,7 +216,7 @@ def static(queries: list[Query], edges: DataFrame, vertices: DataFrame, cand: Da
         for depth in range(2, q.size):
             x = order[depth]
             steps = F.broadcast(spark.createDataFrame([(q.name, 0, x, q.labels[x], [y for y in order[:depth] if y in q.near(x)])], "query_id string, anchor int, x int, x_label int, back array<int>"))
-            partials = cut(_level(partials, steps, adj, own, False))
+            partials = cut(_level(partials, steps, adj, own))
             counted = counted.unionByName(partials.groupBy("query_id", "seq").agg(F.count("*").alias("n")).withColumn("level", F.lit(depth + 1)))
         done = done.union(partials.select("query_id", "seq", F.lit(1), "bind"))
     return Run(done, counted, True, time.monotonic() - began)
@@ -219,6 +233,50 @@ def list_scan_cost(run: Run, queries: list[Query], cand: DataFrame) -> DataFrame
     return nexts.join(lists, ["query_id", "u"]).join(entering, ["query_id", "level"]).select("query_id", "level", (F.col("partials") * F.col("size")).alias("scans"))
 
 
+def list_driven(queries: list[Query], cand: DataFrame, adj: DataFrame, *, longest: int = 4096) -> tuple[Run, DataFrame]:
+    """Static matching over materialised candidate lists, and (query_id, level, scans): the list entries read.
+
+    The list of (query edge u-w, a) holds the candidates of w next to a. A level meets the
+    lists of all bound neighbours and intersects them; no adjacency is looked at. Lists are
+    dealt into parts by a hash of their entries so that the longest has about `longest`
+    entries a row, and parts are intersected one by one: a hub's list never is one row.
+    """
+    spark, began = cand.sparkSession, time.monotonic()
+    one_way, _ = candidate_space(queries, cand, adj)
+    space = cut(one_way.union(one_way.select("query_id", F.col("w").alias("u"), F.col("u").alias("w"), F.col("b").alias("a"), F.col("a").alias("b"))))
+    most = space.groupBy("query_id", "u", "w", "a").agg(F.count("*").alias("n")).agg(F.max("n")).first()[0] or 1
+    part = F.pmod(F.xxhash64("b"), F.lit(-(-most // longest))).alias("part")
+    lists = cut(space.groupBy("query_id", "u", "w", "a", part).agg(F.collect_list("b").alias("found")))
+    done = spark.createDataFrame([], "query_id string, seq bigint, sign int, bind array<bigint>")
+    counted = spark.createDataFrame([], "query_id string, seq bigint, n bigint, level int")
+    scans = spark.createDataFrame([], "query_id string, level int, scans bigint")
+    for q in queries:
+        u, w = q.edges[0]
+        order = q.order(u, w)
+        own = lists.where(F.col("query_id") == q.name)
+        bind = F.transform(F.sequence(F.lit(0), F.lit(q.size - 1)), lambda i: F.when(i == u, F.col("a")).when(i == w, F.col("b")))
+        partials = space.where((F.col("query_id") == q.name) & (F.col("u") == u) & (F.col("w") == w)).select(bind.alias("bind"))
+        for depth in range(2, q.size):
+            x = order[depth]
+            met, keys = partials, []
+            for y in (y for y in order[:depth] if y in q.near(x)):
+                side = own.where((F.col("u") == y) & (F.col("w") == x)).select(F.col("a").alias("__a"), "part", F.col("found").alias("more"))
+                met = met.withColumn("__a", F.get("bind", F.lit(y))).join(side, ["__a", *keys]).drop("__a")
+                read = F.size("more").cast("bigint")
+                if keys:
+                    met = met.withColumn("read", F.col("read") + read).withColumn("found", F.array_intersect("found", "more")).drop("more")
+                else:
+                    met = met.withColumn("read", read).withColumnRenamed("more", "found")
+                keys = ["part"]
+            met = cut(met)
+            scans = scans.union(met.agg(F.sum("read").alias("scans")).where("scans IS NOT NULL").select(F.lit(q.name), F.lit(depth + 1), "scans"))
+            grown = met.select("bind", F.explode("found").alias("v")).where(~F.array_contains(F.filter("bind", lambda y: y.isNotNull()), F.col("v")))
+            partials = cut(grown.select(F.transform("bind", lambda y, i: F.when(i == x, F.col("v")).otherwise(y)).alias("bind")))
+            counted = counted.union(partials.agg(F.count("*").alias("n")).where("n > 0").select(F.lit(q.name), F.lit(0).cast("bigint"), "n", F.lit(depth + 1)))
+        done = done.union(partials.select(F.lit(q.name), F.lit(0).cast("bigint"), F.lit(1), "bind"))
+    return Run(done, counted, True, time.monotonic() - began), scans
+
+
 def admit(queries: list[Query], cand: DataFrame, most: float = 1e9) -> DataFrame:
     """(query_id, log10_bound, admitted): the product of candidate counts bounds the matches; empty lists admit nothing to do."""
     spark = cand.sparkSession

@@ -167,6 +167,12 @@ ORACLES: dict[str, str] = _deltas | {
     "candidate_space_scans": _with("SELECT query_id, CAST(sum(degree) AS BIGINT) AS scans FROM qe JOIN nlf USING (query_id, u) JOIN deg USING (v) GROUP BY query_id", f"{_NLF}, {_QE}"),
     "list_scan_cost": _with(
         "SELECT 'labelled_diamond' AS query_id, 4 AS level, (SELECT count(*) FROM adj x JOIN adj y ON y.v = x.v JOIN adj z ON z.v = x.w AND z.w = y.w WHERE " + " AND ".join(f"{c} IN (SELECT v FROM nlf WHERE query_id = 'labelled_diamond' AND u = {u})" for u, c in ((0, "x.v"), (1, "x.w"), (2, "y.w"))) + " AND x.w <> y.w) * (SELECT count(*) FROM nlf WHERE query_id = 'labelled_diamond' AND u = 3) AS scans", _NLF),
+    "dominance_candidates": _with(
+        "SELECT query_id, u, v FROM ldf JOIN (VALUES " + ", ".join(f"('{q.name}', {u}, {len(q.near(u))}, {sum(len(q.near(w)) for w in q.near(u))})" for q in LABELLED for u in range(q.size))
+        + ") q(query_id, u, q1, q2) USING (query_id, u) JOIN (SELECT a.v, count(*) AS d1, sum(d.degree) AS d2 FROM adj a JOIN deg d ON d.v = a.w GROUP BY a.v) USING (v) WHERE d1 >= q1 AND d2 >= q2", _LDF),
+    "list_driven_scans": _with(
+        "SELECT 'labelled_triangle' AS query_id, 3 AS level, CAST(sum(x.n + y.n) AS BIGINT) AS scans FROM adj JOIN pairs x ON x.u = 0 AND x.v = adj.v JOIN pairs y ON y.u = 1 AND y.v = adj.w WHERE adj.w IN (SELECT v FROM nt WHERE u = 1) HAVING count(*) > 0",
+        f"{_NLF}, nt AS (SELECT u, v FROM nlf WHERE query_id = 'labelled_triangle'), pairs AS (SELECT nt.u, nt.v, count(*) AS n FROM nt JOIN adj USING (v) WHERE nt.u < 2 AND adj.w IN (SELECT v FROM nt WHERE u = 2) GROUP BY nt.u, nt.v)"),
     "ball_sizes_h1": _with("SELECT center, count(*) AS nv FROM b1 GROUP BY center"),
     "ball_sizes_h2": _with("SELECT center, nv FROM small"),
     "ball_edge_counts": _with("SELECT center, nv, coalesce(ne, 0) AS ne FROM small LEFT JOIN (SELECT center, count(*) AS ne FROM ind GROUP BY center) USING (center)"),
@@ -187,6 +193,7 @@ ORACLES: dict[str, str] = _deltas | {
     "delta_labelled": _with(" UNION ALL ".join(f"SELECT '{q.name}' AS query_id, CAST(born AS BIGINT) AS seq, count(*) AS matches FROM {_lives(q)} WHERE born > 0 GROUP BY born" for q in LABELLED), _versioned("v1")),
     "match_lifetimes": _with(f"SELECT m0, m1, m2, CAST(born AS BIGINT) AS born, CAST(dies AS BIGINT) AS dies FROM {_lives(pattern('triangle'))}", _versioned("v2")),
     "static_matches": _with("SELECT * FROM (" + " UNION ALL ".join(f"SELECT '{q.name}' AS query_id, count(*) AS matches FROM {_lives(q)}" for q in LABELLED) + ") WHERE matches > 0", _versioned("v1")),
+    "list_driven_matches": _with("SELECT * FROM (" + " UNION ALL ".join(f"SELECT '{q.name}' AS query_id, count(*) AS matches FROM {_lives(q)}" for q in LABELLED) + ") WHERE matches > 0", _versioned("v1")),
     "level_intermediates_control": _with(_levels(LABELLED[2], False) + " HAVING sum(n) > 0", _versioned("v1")),
     "level_intermediates_nlf": _with(_levels(LABELLED[2], True) + " HAVING sum(n) > 0", f"{_versioned('v1')}, {_NLF}"),
     "trade_rings": _G4 + " SELECT a.c AS customer, count(*) AS rings FROM x a JOIN x b ON a.c = b.c AND a.p = b.p AND a.o <> b.o GROUP BY a.c",

@@ -134,6 +134,41 @@ def list_scan_cost(spark, sf_dir):
     return engines.list_scan_cost(engines.static([LABELLED[2]], edges, vertices, cand), [LABELLED[2]], cand)
 
 
+def dominance_candidates(spark, sf_dir):
+    """Label and degree candidates whose degree and sum of neighbours' degrees dominate the query vertex's."""
+    edges, vertices = _edges(spark, sf_dir), _vertices(spark, sf_dir)
+    adj = graph.both_ways(edges)
+    degree = graph.degrees(adj)
+    return filters.dominance(filters.label_degree(list(LABELLED), vertices, degree), list(LABELLED), adj, degree)
+
+
+def _list_driven(spark, sf_dir):
+    edges = _edges(spark, sf_dir)
+    cand = X.base_candidates(list(LABELLED), edges, _vertices(spark, sf_dir))
+    return engines.list_driven(list(LABELLED), cand, graph.both_ways(edges))
+
+
+def list_driven_matches(spark, sf_dir):
+    """Matches of the engine that intersects materialised candidate lists."""
+    return _list_driven(spark, sf_dir)[0].matches.groupBy("query_id").agg(F.count("*").alias("matches"))
+
+
+def list_driven_scans(spark, sf_dir):
+    """List entries it reads for the labelled triangle."""
+    return _list_driven(spark, sf_dir)[1].where("query_id = 'labelled_triangle'")
+
+
+def propagation_modes(spark, sf_dir):
+    """(mode, query_id, n): candidates each way of propagating leaves, as the context indexes do."""
+    edges = _edges(spark, sf_dir)
+    cand, adj = X.base_candidates(list(LABELLED), edges, _vertices(spark, sf_dir)), graph.both_ways(edges)
+    out = None
+    for mode in ("none", "tree", "dag", "arc", "assign"):
+        rows = filters.propagate(cand, list(LABELLED), adj, mode).groupBy(F.lit(mode).alias("mode"), "query_id").agg(F.count("*").alias("n"))
+        out = rows if out is None else out.union(rows)
+    return out
+
+
 # Balls and invariants
 
 
@@ -576,7 +611,7 @@ def random_graph_utility(spark, sf_dir):
 STRICT = [
     shared_line_edges, page_link_fanout, trade_degrees, zipf_label_counts, renewed_stream_births, deletion_gate,
     copurchase_edges, copurchase_stream_90_10, mixed_stream_70_30, edge_versions, degree_table, label_profile, temporal_user_edges, sliding_window_edges, event_sessions, asof_version_lookup,
-    ldf_candidates, nlf_candidates, propagation_two_rounds, candidate_space_scans, list_scan_cost, ball_sizes_h1, ball_sizes_h2, ball_edge_counts, ball_triangles, degree_overflow_screen,
+    ldf_candidates, nlf_candidates, propagation_two_rounds, candidate_space_scans, list_scan_cost, dominance_candidates, list_driven_matches, list_driven_scans, ball_sizes_h1, ball_sizes_h2, ball_edge_counts, ball_triangles, degree_overflow_screen,
     hub_excluded_components, conjugate_degree_ceiling, spectral_moments, closed_walks_are_triangles, reverse_index_fanout, coverage_by_cap, utility_bucket_sizes, report_rollup, mass_cost, ceilings_vs_lattice, bound_rules,
     delta_mixed_signs, delta_labelled, match_lifetimes, static_matches, level_intermediates_control, level_intermediates_nlf, trade_rings, gate_counts_fire, gate_fire_by_label, exact_vs_naive_triggers, decoy_workload,
     pruned_visited_overlap, interlacing_violations, majorisation_violations, ceiling_violations, gate_wrong_skips, envelope_violations,
@@ -584,6 +619,6 @@ STRICT = [
 ROWS_ONLY = [
     vertex_spectra, interlace_candidates, component_attribution, utility_by_ball_size, retention_curve, rejection_margins, laplacian_gate, headroom_ratio, envelope_index, exact_index,
     spectral_overlap, order_feedback, index_footprint, resync_changes, budgeted_run, random_graph_utility, temporal_triangles, neighbour_graph,
-    static_construction, replication_matrix, second_engine, sparse_queries, admission,
+    static_construction, replication_matrix, second_engine, sparse_queries, admission, propagation_modes,
 ]
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in STRICT} | {f"delta_{p}": _delta_of(p) for p in PATTERNS} | {f.__name__: f for f in ROWS_ONLY}

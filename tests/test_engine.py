@@ -10,6 +10,7 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from deltamatch import experiments as X
+from deltamatch import workloads
 from deltamatch.functions import bounds, udfs
 from deltamatch.operators import balls, engines, filters, gate, graph, index, invariants, spectra
 from deltamatch.plans.query import Query, invariant_values, padded_spectrum, pattern, sample
@@ -324,3 +325,14 @@ def test_generated_graphs_and_readers(spark, tmp_path):
     assert sorted(map(tuple, graphs.read_edge_list(spark, str(path)).collect())) == [(1, 3), (4, 5)]
     assert X.advise("static", False) == "full" and X.advise("delta", True) == "gate" and X.advise("delta", False) == "off"
     assert invariants.REGISTRY["tri"].query_value(4, list(itertools.combinations(range(4), 2))) == 4
+
+
+def test_index_queries_take_every_vertex(spark, monkeypatch):
+    taken, maintain = [], workloads.index.maintain
+    monkeypatch.setattr(workloads.index, "maintain", lambda versions, some, **k: (taken.append((versions, some)), maintain(versions, some, **k))[1])
+    path = "/root/testdata/sf0.001"
+    workloads.exact_index(spark, path)
+    workloads.envelope_violations(spark, path)
+    assert len(taken) == 2
+    for versions, some in taken:
+        assert some.count() == graph.both_ways(versions.select("src", "dst")).select("v").distinct().count()

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from deltamatch.operators.graph import canonical_edges
@@ -70,28 +70,32 @@ def temporal_edges(spark: SparkSession, sf_dir: str, minutes: int = 60) -> DataF
     return pairs.groupBy("src", "dst").agg(F.min("ts2").alias("ts"))
 
 
-def neighbour_edges(spark: SparkSession, sf_dir: str, k: int = 3) -> DataFrame:
-    """Each vector with its k nearest by cosine, symmetrised; all pairs are compared, in blocks, so only for small tables."""
-    rows = table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
+def neighbour_edges(spark: SparkSession, sf_dir: str, k: int = 3, block: int = 2000) -> DataFrame:
+    """Each vector with its k nearest by cosine, symmetrised, ties by id. All pairs are compared, blocks of about `block` vectors against blocks. Vectors without a direction (null, zero, not finite) have no neighbours."""
     import numpy as np
+    import pandas as pd
 
-    def run(batches):
-        import pandas as pd
-
-        for batch in batches:
-            for ids, q in [(batch["vec_id"].to_numpy(), np.stack(batch["v"].to_list()))]:
-                near = (q / np.linalg.norm(q, axis=1, keepdims=True)) @ every.T
-                near[ids[:, None] == names] = -2
-                order = np.lexsort((np.broadcast_to(names, near.shape), -near.round(9)), axis=1)[:, :k]
-                yield pd.DataFrame({"a": np.repeat(ids, k), "b": names[order].ravel()})
-
-    held = rows.orderBy("vec_id").limit(20_001).collect()
-    if len(held) > 20_000:
-        raise ValueError("over 20,000 vectors: take an approximate search instead")
-    names = np.array([r.vec_id for r in held])
-    every = np.stack([r.v for r in held])
-    every = every / np.linalg.norm(every, axis=1, keepdims=True)
-    return canonical_edges(rows.mapInPandas(run, "a bigint, b bigint").select(F.col("a").alias("src"), F.col("b").alias("dst")))
+    rows = table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
+    norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda s, x: s + x * x))
+    rows = rows.where(norm.isNotNull() & (norm > 0) & (norm < float("inf"))).select("vec_id", F.transform("v", lambda x: x / norm).alias("v"))
+    blocks = max(1, -(-rows.count() // block))
+    own, every = F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    asked = rows.select(own.alias("i"), every.alias("j"), "vec_id", "v")
+    held = rows.select(every.alias("i"), own.alias("j"), "vec_id", "v")
+
+    def nearest(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        if not len(left) or not len(right):
+            return pd.DataFrame({"a": np.zeros(0, np.int64), "b": np.zeros(0, np.int64), "near": np.zeros(0)})
+        ids, names = left["vec_id"].to_numpy(), right["vec_id"].to_numpy()
+        near = (np.stack(left["v"].to_list()) @ np.stack(right["v"].to_list()).T).round(9)
+        near[ids[:, None] == names] = -2
+        order = np.lexsort((np.broadcast_to(names, near.shape), -near), axis=1)[:, :k]
+        found = pd.DataFrame({"a": np.repeat(ids, order.shape[1]), "b": names[order].ravel(), "near": np.take_along_axis(near, order, 1).ravel()})
+        return found[found["near"] > -2]
+
+    found = asked.groupBy("i", "j").cogroup(held.groupBy("i", "j")).applyInPandas(nearest, "a bigint, b bigint, near double")
+    rank = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("near"), "b"))
+    return canonical_edges(found.withColumn("rank", rank).where(F.col("rank") <= k).select(F.col("a").alias("src"), F.col("b").alias("dst")))
 
 
 def link_edges(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -336,3 +336,16 @@ def test_index_queries_take_every_vertex(spark, monkeypatch):
     assert len(taken) == 2
     for versions, some in taken:
         assert some.count() == graph.both_ways(versions.select("src", "dst")).select("v").distinct().count()
+
+
+def test_neighbours_across_blocks(spark, tmp_path):
+    rng = np.random.default_rng(2)
+    vectors = rng.standard_normal((90, 8))
+    rows = [(i, v.tolist()) for i, v in enumerate(vectors)] + [(100, None), (101, [0.0] * 8)]
+    spark.createDataFrame(rows, "vec_id bigint, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    got = {tuple(r) for r in graphs.neighbour_edges(spark, str(tmp_path), 3, block=20).select("src", "dst").collect()}
+    unit = vectors.astype("f4").astype("f8")
+    near = (unit := unit / np.linalg.norm(unit, axis=1, keepdims=True)) @ unit.T
+    np.fill_diagonal(near, -2)
+    want = {tuple(sorted((a, int(b)))) for a in range(90) for b in np.argsort(-near[a])[:3]}
+    assert got == want

@@ -66,7 +66,7 @@ def matrix(queries: list[Query], versions: DataFrame, vertices: DataFrame, names
     return spark.createDataFrame(rows, "test string, candidates bigint, skipped bigint, intermediates bigint, matches bigint, seconds double")
 
 
-def power(queries: list[Query], edges: DataFrame, vertices: DataFrame, r: int = 8, cap: int = 64) -> DataFrame:
+def power(queries: list[Query], edges: DataFrame, vertices: DataFrame, r: int = 8, cap: int | None = 64) -> DataFrame:
     """Tests of all base candidates: (query_id, u, v, nv, killers)."""
     cand = base_candidates(queries, edges, vertices)
     held = cut(index.consult(graph.both_ways(edges), cand, r=r, cap=cap))

@@ -436,7 +436,7 @@ def component_attribution(spark, sf_dir):
 
 def utility_by_ball_size(spark, sf_dir):
     queries, edges, vertices = _dense(spark, sf_dir, (8, 12, 16), 2)
-    return X.utility(X.power(queries, edges, vertices))
+    return X.utility(X.power(queries, edges, vertices, cap=None))
 
 
 def retention_curve(spark, sf_dir):
@@ -605,7 +605,7 @@ def random_graph_utility(spark, sf_dir):
     """Rejection by ball size on a generated sparse graph."""
     edges = cut(graphs.random_edges(spark, 1500))
     vertices = cut(graphs.uniform_labels(spark.range(1500), 4))
-    return X.utility(X.power(sample(edges, vertices, "dense", 12, 2), edges, vertices))
+    return X.utility(X.power(sample(edges, vertices, "dense", 12, 2), edges, vertices, cap=None))
 
 
 STRICT = [

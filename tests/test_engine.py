@@ -338,6 +338,13 @@ def test_index_queries_take_every_vertex(spark, monkeypatch):
         assert some.count() == graph.both_ways(versions.select("src", "dst")).select("v").distinct().count()
 
 
+def test_utility_tests_large_balls_too(spark, monkeypatch):
+    held = []
+    monkeypatch.setattr(workloads.X, "utility", lambda tested: held.append(tested) or tested)
+    workloads.utility_by_ball_size(spark, "/root/testdata/sf0.01")
+    assert held[0].where("nv > 64").count() > 0 and held[0].where("nv IS NULL").count() == 0
+
+
 def test_neighbours_across_blocks(spark, tmp_path):
     rng = np.random.default_rng(2)
     vectors = rng.standard_normal((90, 8))

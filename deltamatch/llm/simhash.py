@@ -15,12 +15,14 @@ copies of each other. Rows with a null id keep their fingerprint and group.
 
 from __future__ import annotations
 
+import hashlib
+import math
 from collections.abc import Iterator
 from itertools import combinations, repeat
 
 import numpy as np
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import components, cut, map_rows, rekeyed
@@ -106,7 +108,7 @@ def _keyed(rows: DataFrame, masks: list[int], first: Column) -> DataFrame:
     return rows.select("fp", F.explode(keys).alias("k")).select("k.part", "k.key", "fp")
 
 
-def _linked(buckets: DataFrame, max_bits: int, forest) -> DataFrame:
+def _linked(buckets: DataFrame, max_bits: int) -> DataFrame:
     """Forest links (a, b) of each bucket (fps array)."""
 
     def run(batches: Iterator[dict]) -> Iterator[dict]:
@@ -117,25 +119,21 @@ def _linked(buckets: DataFrame, max_bits: int, forest) -> DataFrame:
     return map_rows(buckets, ["fps"], "a bigint, b bigint", run)
 
 
-def links(fps: DataFrame, *, max_bits: int = 3, blocks: int = 6, agree: int | None = None, crowd: int = 1024, forest=forest) -> DataFrame:
+def links(fps: DataFrame, *, max_bits: int = 3, blocks: int = 6, crowd: int = 1024) -> DataFrame:
     """Links (a, b) that connect distinct fingerprints (fp) exactly as all pairs within max_bits bits would.
 
-    A larger `agree` than blocks - max_bits shortens the search: exact for pairs within
-    blocks - agree bits, and for the others found where their bits leave `agree` blocks alone.
-
     `blocks` sets the key length: 64 * (blocks - max_bits) / blocks bits, in C(blocks, max_bits)
     tables. 6 blocks (32 bits, 20 tables) keep chance buckets small up to about 10**9 distinct
     fingerprints, 9 blocks (43 bits, 84 tables) up to 10**12.
     """
-    loose = max_bits if agree is None else blocks - agree
-    if not (0 < loose <= max_bits and loose < blocks <= 16):
-        raise ValueError("1 <= blocks - agree <= max_bits and blocks <= 16 are required")
-    masks = _splits(_deal(list(range(64)), blocks), loose)
+    if not 0 < max_bits < blocks <= 16:
+        raise ValueError("1 <= max_bits < blocks <= 16 is required")
+    masks = _splits(_deal(list(range(64)), blocks), max_bits)
     keyed = _keyed(fps, masks, F.lit(0))
     many = keyed.groupBy("part", "key").agg(F.count("*").alias("n")).where("n > 1").select("part", rekeyed("key"), "n")
     met = cut(keyed.join(many, ["part", "key"]))
     small = met.where(F.col("n") <= crowd).repartition("part", "key").groupBy("part", "key").agg(F.collect_list("fp").alias("fps"))
-    found = _linked(small, max_bits, forest)
+    found = _linked(small, max_bits)
     crowded = met.where(F.col("n") > crowd)
     if crowded.isEmpty():
         return found
@@ -143,14 +141,14 @@ def links(fps: DataFrame, *, max_bits: int = 3, blocks: int = 6, agree: int | No
     rows = None
     for t, mask in enumerate(masks):
         open_bits = [b for b in range(64) if not mask >> b & 1]
-        finer = loose + 1
-        while len(_deal(open_bits, finer)[0]) * loose > 16:
+        finer = max_bits + 1
+        while len(_deal(open_bits, finer)[0]) * max_bits > 16:
             finer += 1
-        sub = [mask | m for m in _splits(_deal(open_bits, finer), loose)]
+        sub = [mask | m for m in _splits(_deal(open_bits, finer), max_bits)]
         own = _keyed(crowded.where(F.col("part") == t).select("fp"), sub, F.lit(t))
         rows = own if rows is None else rows.union(own)
     fine = rows.groupBy("part", "key").agg(F.collect_set("fp").alias("fps")).where(F.size("fps") > 1)
-    return found.union(_linked(fine, max_bits, forest))
+    return found.union(_linked(fine, max_bits))
 
 
 def groups(prints: DataFrame, *, max_bits: int = 3, blocks: int = 6, crowd: int = 1024) -> DataFrame:
@@ -170,11 +168,6 @@ def near_duplicates(docs: DataFrame, *, width: int = 3, max_bits: int = 3, block
     return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def word_print(text: str | None) -> int:
-    """Fingerprint over the distinct words: a changed word changes one of its features, not one for each shingle it is in."""
-    return fingerprint(" ".join({w.decode("utf-8", "surrogatepass") for w in (text or "").encode("utf-8", "surrogatepass").lower().split()}), 1)
-
-
 def shingle_hashes(text: str | None, width: int) -> list[int]:
     """Hashes of the distinct word shingles."""
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
@@ -182,41 +175,108 @@ def shingle_hashes(text: str | None, width: int) -> list[int]:
     return np.fromiter({xxhash.xxh64_intdigest(x) for x in joined}, dtype="<u8").view("<i8").tolist() if words else []
 
 
-def similar_groups(docs: DataFrame, *, width: int = 5, similarity: float = 0.8, max_bits: int = 10, blocks: int = 8, agree: int = 3) -> DataFrame:
-    """(doc_id, component_id): groups of equal texts and of texts whose sets of word shingles have a Jaccard similarity of at least `similarity`.
+_SLACK = 1e-6
+#: Ids that a worker holds to pick its texts.
+_HELD = 1 << 22
+#: Ids that are broadcast to drop their rows.
+_SENT = 1 << 21
 
-    Equal texts fall together by digest. Candidates are fingerprints over distinct words, in
-    which pairs that alike lie a few bits apart: found through blocks, verified by Hamming
-    distance, thinned to shortest links, then verified by their shingle sets. Links within
-    blocks - agree bits are sure to be candidates, wider ones likely. Texts without words
-    are equal to each other. Rows with a null doc_id aren't grouped.
-    """
+
+def common_shingles(rows: DataFrame, width: int, *, sampled: int = 20_000, least: int = 8, most: int = 100_000) -> tuple[np.ndarray, np.ndarray]:
+    """Shingles (sorted) that many texts share, and their counts, from about `sampled` texts. They only set the order of `prefix`: any order finds the same pairs, this one meets fewer others."""
 
     def run(batches: Iterator[dict]) -> Iterator[dict]:
         for got in batches:
-            yield {"doc_id": got["doc_id"], "digest": got["digest"], "fp": [word_print(t) for t in got["text"]]}
+            for text in got["text"]:
+                yield {"key": shingle_hashes(text, width)}
 
-    rows = docs.where("doc_id is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), F.md5(F.coalesce("text", F.lit("")).cast("binary")).alias("digest"), "text")
-    prints = cut(map_rows(rows, ["doc_id", "digest", "text"], "doc_id bigint, digest string, fp bigint", run))
-    texts = cut(prints.groupBy("digest").agg(F.min("doc_id").alias("first"), F.min("fp").alias("fp")))
-    heads = cut(texts.groupBy("fp").agg(F.min("first").alias("head")))
-    near = links(heads.select("fp"), max_bits=max_bits, blocks=blocks, agree=agree, forest=nearest_forest).distinct()
-    ends = heads.select(rekeyed("fp"), "head")
-    pairs = near.join(ends, near.a == ends.fp).select(F.col("head").alias("x"), "b").join(ends, F.col("b") == ends.fp).select("x", F.col("head").alias("y"))
-    pairs = cut(pairs.union(texts.join(ends, "fp").where("first <> head").select(F.col("head").alias("x"), F.col("first").alias("y"))))
+    step = max(1, rows.count() // sampled)
+    some = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(step)) == 0)
+    counts = map_rows(some, ["text"], "key bigint", run).groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") >= least)
+    found = sorted((r.key, r.n) for r in counts.orderBy(F.desc("n"), "key").limit(most).collect())
+    return np.array([k for k, _ in found], dtype=np.int64), np.array([n for _, n in found], dtype=np.int64)
+
+
+def prefix(hashes: np.ndarray, similarity: float, common: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """The first shingles of a set, rare ones first: two sets of at least that Jaccard similarity share one of them."""
+    if not len(hashes):
+        return hashes
+    keys, counts = common
+    often = np.zeros(len(hashes), dtype=np.int64)
+    if len(keys):
+        at = np.minimum(np.searchsorted(keys, hashes), len(keys) - 1)
+        often = np.where(keys[at] == hashes, counts[at], 0)
+    return hashes[np.lexsort((hashes, often))][: len(hashes) - math.ceil(similarity * len(hashes) - _SLACK) + 1]
+
+
+def _may(similarity: float, n: Column, at: Column, m: Column, other: Column) -> Column:
+    """Whether sets of n and m shingles that first meet at these places of theirs can be similar enough."""
+    long_enough = F.least(n, m) >= similarity * F.greatest(n, m) - _SLACK
+    return long_enough & (F.least(n - at, m - other) >= similarity / (1 + similarity) * (n + m) - _SLACK)
 
-    def hashed(batches: Iterator[dict]) -> Iterator[dict]:
-        for got in batches:
-            for at in range(0, len(got["doc_id"]), 512):
-                yield {"id": got["doc_id"][at : at + 512], "hashes": [shingle_hashes(t, width) for t in got["text"][at : at + 512]]}
 
+def _alike(rows: DataFrame, pairs: DataFrame, width: int, similarity: float) -> DataFrame:
+    """Those of the pairs (x, y) whose shingle sets are similar enough, as (a, b). Texts aren't shuffled unless over `_HELD` are asked for."""
     asked = pairs.select(F.col("x").alias("doc_id")).union(pairs.select("y")).distinct()
-    # One row for an id, should several rows carry it.
-    sets = cut(map_rows(rows.join(asked, "doc_id", "left_semi"), ["doc_id", "text"], "id bigint, hashes array<bigint>", hashed)).groupBy("id").agg(F.first("hashes").alias("hashes"))
-    left, right = sets.select(rekeyed("id").alias("x"), F.col("hashes").alias("hx")), sets.select(rekeyed("id").alias("y"), F.col("hashes").alias("hy"))
+    held = asked.limit(_HELD + 1).toArrow()["doc_id"].to_numpy()
+    every = len(held) > _HELD
+    held = np.zeros(0, dtype=np.int64) if every else np.sort(held)
+
+    def hashed(batches: Iterator[dict]) -> Iterator[dict]:
+        for got in batches:
+            ids = np.array(got["doc_id"], dtype=np.int64)
+            fine = np.arange(len(ids)) if every else np.flatnonzero(np.searchsorted(held, ids, "right") > np.searchsorted(held, ids))
+            for at in range(0, len(fine), 512):
+                yield {"id": ids[fine[at : at + 512]], "hashes": [shingle_hashes(got["text"][i], width) for i in fine[at : at + 512].tolist()]}
+
+    texts = rows.join(asked, "doc_id", "left_semi") if every else rows
+    # One row for an id, should several rows carry it; both joins read the same exchange of them.
+    sets = map_rows(texts, ["doc_id", "text"], "id bigint, hashes array<bigint>", hashed).groupBy("id").agg(F.first("hashes").alias("hashes"))
+    left, right = sets.select(F.col("id").alias("x"), F.col("hashes").alias("hx")), sets.select(F.col("id").alias("y"), F.col("hashes").alias("hy"))
     both = F.size(F.array_intersect("hx", "hy"))
-    alike = pairs.join(left, "x").join(right, "y").where(both >= similarity * (F.size("hx") + F.size("hy") - both)).select(F.col("x").alias("a"), F.col("y").alias("b"))
-    joined = components(alike)
+    return cut(pairs.join(left, "x").join(right, "y").where(both >= similarity * (F.size("hx") + F.size("hy") - both)).select(F.col("x").alias("a"), F.col("y").alias("b")))
+
+
+def similar_groups(docs: DataFrame, *, width: int = 5, similarity: float = 0.8) -> DataFrame:
+    """(doc_id, component_id): groups of texts whose sets of word shingles have a Jaccard similarity of at least `similarity`, linked by all such pairs.
+
+    Equal sets fall together by digest; texts without words have equal, empty sets. Two sets
+    that alike share a shingle of their prefixes, so every such pair meets under a key. Each
+    key's members are first verified against the smallest id among them; then all its pairs
+    that this left in different groups are, whatever the size of the key. No pair is dropped
+    except by length, by the place of the shingle, or by its own Jaccard similarity. Rows with
+    a null doc_id aren't grouped.
+    """
+    rows = docs.where("doc_id is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
+    common = common_shingles(rows, width)
+
+    def run(batches: Iterator[dict]) -> Iterator[dict]:
+        for got in batches:
+            sets = [np.sort(np.array(shingle_hashes(t, width), dtype=np.int64)) for t in got["text"]]
+            yield {"doc_id": got["doc_id"], "digest": [hashlib.md5(x.tobytes()).hexdigest() for x in sets], "size": list(map(len, sets)), "head": [prefix(x, similarity, common) for x in sets]}
+
+    hashed = map_rows(rows, ["doc_id", "text"], "doc_id bigint, digest string, size int, head array<bigint>", run)
+    prints = cut(hashed.select("doc_id", "digest"))
+    # Rows of one digest have the same size and prefix. Hashing again takes less disk than writing prefixes out.
+    heads = hashed.where("size > 0").groupBy("digest").agg(F.min("doc_id").alias("id"), F.first("size").alias("size"), F.first("head").alias("head"))
+    keyed = heads.select("id", "size", F.posexplode("head").alias("at", "key")).select(F.shiftrightunsigned("key", 24).alias("key"), "id", "size", "at")  # 40 bits: chance meetings are verified like others
+    by = Window.partitionBy("key").orderBy("id")
+    met = keyed.withColumn("top", F.first(F.struct("id", "size", "at")).over(by)).where("id <> top.id").select("key", "id", "size", "at", F.col("top.id").alias("top"), F.col("top.size").alias("top_size"), F.col("top.at").alias("top_at"))
+    met = cut(met)
+    tried = met.where(_may(similarity, F.col("size"), F.col("at"), F.col("top_size"), F.col("top_at"))).select(F.col("top").alias("x"), F.col("id").alias("y")).distinct()
+    tried = cut(tried)
+    found = _alike(rows, tried, width, similarity)
+    joined = cut(components(found))
+    # Pairs of a key besides its smallest id, where they aren't in one group yet.
+    named = met.select("key", rekeyed("id"), "size", "at").join(joined, F.col("id") == joined.node, "left").select("key", "id", "size", "at", F.coalesce("root", "id").alias("own"))
+    mixed = named.groupBy("key").agg(F.min("own").alias("low"), F.max("own").alias("high")).where("low <> high").select(rekeyed("key"))
+    rest = cut(named.join(mixed, "key", "left_semi"))
+    other = rest.select(rekeyed("key"), F.col("id").alias("y"), F.col("size").alias("m"), F.col("at").alias("there"), F.col("own").alias("its"))
+    pairs = rest.join(other, "key").where((F.col("id") < F.col("y")) & (F.col("own") != F.col("its")) & _may(similarity, F.col("size"), F.col("at"), F.col("m"), F.col("there")))
+    pairs = cut(pairs.select(F.col("id").alias("x"), "y").distinct().join(tried, ["x", "y"], "left_anti"))
+    if not pairs.isEmpty():
+        joined = components(found.union(_alike(rows, pairs, width, similarity)))
+    texts = prints.groupBy("digest").agg(F.min("doc_id").alias("first"))
     named = texts.join(joined, texts["first"] == joined.node, "left").select("digest", F.coalesce("root", "first").alias("component_id"))
     return prints.join(named.select(F.concat("digest", F.lit("")).alias("digest"), "component_id"), "digest").select("doc_id", "component_id")
 
@@ -226,6 +286,8 @@ def deduplicate(docs: DataFrame, **options) -> DataFrame:
     grouped = cut(similar_groups(docs, **options))
     gone = grouped.where("doc_id <> component_id").select("doc_id").distinct()
     again = grouped.groupBy("doc_id").count().where("count > 1").select("doc_id")
+    if gone.limit(_SENT + 1).count() <= _SENT:  # then the texts needn't be shuffled
+        gone = F.broadcast(gone)
     left = docs.join(gone, "doc_id", "left_anti").select(docs.columns)
     if again.isEmpty():
         return left

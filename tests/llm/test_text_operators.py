@@ -370,3 +370,42 @@ def test_kernel_equals_plain_subsequences():
         got = marks.close[w] if marks.close[w] is not None else np.zeros(2)
         assert got == pytest.approx([k**3 if k >= toxicity.FLOOR else 0 for k in want], abs=1e-5)
     assert marks.close["id*iot"] is not None and "idiot" in toxicity.words_of("what an i d i o t you are")
+
+
+# Near-duplicate groups keep every link
+
+
+def plain_similar(rows, width=5):
+    sets = {}
+    for d, t in rows:
+        words = t.encode().lower().split()
+        sets[d] = {b" ".join(words[i : i + width]) for i in range(max(1, len(words) - width + 1))} if words else set()
+    root = {d: d for d in sets}
+
+    def find(d):
+        while root[d] != d:
+            d = root[d]
+        return d
+
+    for a in sets:
+        for b in sets:
+            if a < b and 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]):
+                low, high = sorted((find(a), find(b)))
+                root[high] = low
+    return sorted((d, find(d)) for d in sets)
+
+
+def similar(spark, rows):
+    return sorted(map(tuple, simhash.similar_groups(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()))
+
+
+def test_copies_of_one_original_all_meet_it(spark):
+    rng = np.random.default_rng(3)
+    base = [f"w{x}" for x in rng.integers(0, 5000, 300)]
+    rows = [(1000, " ".join(base))]
+    for i in range(60):
+        words = list(base)
+        for at in rng.choice(300, 6, replace=False):
+            words[at] = f"n{rng.integers(0, 10**9)}"
+        rows.append((i if i % 2 else 2000 + i, " ".join(words)))
+    assert similar(spark, rows) == plain_similar(rows)

@@ -409,3 +409,17 @@ def test_copies_of_one_original_all_meet_it(spark):
             words[at] = f"n{rng.integers(0, 10**9)}"
         rows.append((i if i % 2 else 2000 + i, " ".join(words)))
     assert similar(spark, rows) == plain_similar(rows)
+
+
+def test_block_edits_are_found(spark):
+    rng = np.random.default_rng(4)
+    rows = []
+    for i in range(60):
+        words = [f"w{x}" for x in rng.integers(0, 3000, int(rng.integers(80, 400)))]
+        n = len(words)
+        more = [f"x{x}" for x in rng.integers(0, 3000, n // 6)]
+        edited = (words[: n - n // 6], words + more, words[: n // 2] + words[n // 2 + n // 7 :], more + words)[i % 4]
+        rows += [(2 * i, " ".join(words)), (2 * i + 1, " ".join(edited))]
+    want = plain_similar(rows)
+    assert sum(d != c for d, c in want) > 50
+    assert similar(spark, rows) == want

@@ -423,3 +423,17 @@ def test_block_edits_are_found(spark):
     want = plain_similar(rows)
     assert sum(d != c for d, c in want) > 50
     assert similar(spark, rows) == want
+
+
+def test_a_crowd_changes_no_pair(spark):
+    """Pairs 6 to 10 bits apart in a crowd of over 1024 texts that share most words, as alone."""
+    rng = np.random.default_rng(6)
+    stock = [f"w{x}" for x in range(120)]
+    rows = []
+    for i in range(700):
+        words = [stock[x] for x in rng.permutation(120)]
+        edited = words[:-14] + [f"n{rng.integers(0, 10**9)}" for _ in range(6)]
+        rows += [(2 * i, " ".join(words)), (2 * i + 1, " ".join(edited))]
+    want = sorted((d, d - d % 2) for d, _ in rows)
+    assert plain_similar(rows[:200]) == want[:200]
+    assert similar(spark, rows) == want

@@ -32,8 +32,9 @@ _RUN = re.compile(r"[A-Za-z0-9+/_=-]{20,}")
 _DIGEST_LENGTHS = frozenset((32, 40, 56, 64, 96, 128))
 _ALL_HEX = re.compile(r"[0-9a-fA-F]+")
 _UUID = re.compile(r"[0-9a-fA-F]{8}(?:-[0-9a-fA-F]{4}){3}-[0-9a-fA-F]{12}")
-#: Words, in one case or capitalised, and short numbers, side by side or joined.
-_NAME = re.compile(r"(?:[A-Z]?[a-z]{2,}|[A-Z]{2,}|[0-9]{1,8}|[+/_=-])+")
+#: Words, in one case or capitalised, and numbers, side by side or joined. Each branch takes a whole run of its class for good, so a test takes linear time.
+_NAME = re.compile(r"(?:[A-Z]*+[a-z]{2,}+|[A-Z]{2,}+|[0-9]++|[+/_=-]++)++")
+_CLASSES = (re.compile("[0-9]"), re.compile("[a-z]"), re.compile("[A-Z]"))
 _PADDED_NUMBER = re.compile(r"[0-9+/_=-]+")
 
 
@@ -50,20 +51,24 @@ def is_explained(run: str) -> bool:
     if _ALL_HEX.fullmatch(run) and len(run) in _DIGEST_LENGTHS or _UUID.fullmatch(run) or _PADDED_NUMBER.fullmatch(run):
         return True
     if _NAME.fullmatch(run):  # names switch between classes seldom, keys all the time
-        switches = len(re.findall(r"[A-Z]?[a-z]+|[A-Z]+|[0-9]+", run))
+        switches = sum(1 for _ in re.finditer(r"[A-Z]?[a-z]+|[A-Z]+|[0-9]+", run))
         return switches * 4 <= len(run)
     return False
 
 
 def random_spans(text: str, taken: list[tuple[int, int, str]], codec: ByteCodec, most_per_token: float = 2.2) -> list[tuple[int, int, str]]:
-    """Runs outside `taken` with at most most_per_token characters for each token."""
-    found = []
+    """Runs outside `taken` (by start) with at most most_per_token characters for each token."""
+    found, at, reached = [], 0, 0  # taken spans before `at` start before the end of this run and end by `reached`
     for m in _RUN.finditer(text):
+        while at < len(taken) and taken[at][0] < m.end():
+            reached = max(reached, taken[at][1])
+            at += 1
+        if reached > m.start():
+            continue
         run = m.group()
-        if is_explained(run) or any(s < m.end() and m.start() < e for s, e, _ in taken):
+        if sum(1 for c in _CLASSES if c.search(run)) < 2 or is_explained(run):
             continue
-        kinds = any(map(str.isdigit, run)) + any(map(str.islower, run)) + any(map(str.isupper, run))
-        if kinds >= 2 and len(run) * 4 <= most_per_token * len(codec.encode(run)):  # four bytes an id
+        if len(run) * 4 <= most_per_token * len(codec.encode(run)):  # four bytes an id
             found.append((m.start(), m.end(), "random"))
     return found
 

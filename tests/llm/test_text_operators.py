@@ -437,3 +437,25 @@ def test_a_crowd_changes_no_pair(spark):
     want = sorted((d, d - d % 2) for d, _ in rows)
     assert plain_similar(rows[:200]) == want[:200]
     assert similar(spark, rows) == want
+
+
+def test_secret_scan_takes_linear_time_on_very_long_runs(codec):
+    """A single run of a million characters, of whatever classes, ends soon; an ambiguous pattern would take ages on forty."""
+    import time
+
+    letters = "abcdefghijklmnopqrstuvwxyz"
+    for run in ("7" * 10**6 + "a1", letters * 40_000 + "B", "camelCase" * 110_000, "a1" * 50_000, "Ab1" * 40_000 + "c"):
+        began = time.perf_counter()
+        secrets.secret_spans(f"x {run} y", codec)
+        assert time.perf_counter() - began < 10
+
+
+def test_names_are_told_from_keys_as_by_the_ambiguous_form():
+    """The unambiguous pattern accepts what its plain reading does: words of two letters or more, in one case or capitalised, numbers and joints."""
+    import random
+    import re
+
+    plain, draw = re.compile("(?:[A-Z]?[a-z]{2,}|[A-Z]{2,}|[0-9]{1,8}|[+/_=-])+"), random.Random(5)
+    for _ in range(50_000):
+        run = "".join(draw.choices("aabbABC12-_", k=draw.randint(0, 10)))
+        assert bool(plain.fullmatch(run)) == bool(secrets._NAME.fullmatch(run)), run

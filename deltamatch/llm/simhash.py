@@ -72,23 +72,6 @@ def forest(values: np.ndarray, max_bits: int) -> list[tuple[int, int]]:
     return out
 
 
-def nearest_forest(values: np.ndarray, max_bits: int) -> list[tuple[int, int]]:
-    """A spanning forest of the shortest links: two values within max_bits are joined over links no longer than their own."""
-    left, out = values.astype("<i8").view("<u8"), []
-    while len(left):
-        at, left = left[0], left[1:]
-        from_, far = np.full(len(left), at), np.bitwise_count(left ^ at).astype(np.int16)
-        while len(left) and far.min() <= max_bits:
-            i = int(far.argmin())
-            at = left[i]
-            out.append((int(from_[i].view("<i8")), int(at.view("<i8"))))
-            left, from_, far = np.delete(left, i), np.delete(from_, i), np.delete(far, i)
-            new = np.bitwise_count(left ^ at)
-            nearer = new < far
-            far[nearer], from_[nearer] = new[nearer], at
-    return out
-
-
 def _splits(bits: list[list[int]], drop: int) -> list[int]:
     """Masks over all choices of len(bits) - drop blocks; each block is a list of bit numbers."""
     return [sum(1 << b for block in chosen for b in block) for chosen in combinations(bits, len(bits) - drop)]
@@ -180,39 +163,80 @@ _SLACK = 1e-6
 _HELD = 1 << 22
 #: Ids that are broadcast to drop their rows.
 _SENT = 1 << 21
+#: Bits of a wide fingerprint, in 64-bit words; texts of fewer shingles aren't judged by it.
+_WORDS, _FEW = 4, 20
+_SIGS = [f"f{i}" for i in range(_WORDS)]
+
+
+def wide_fingerprint(hashes: np.ndarray) -> list[int]:
+    """SimHash of a set of shingle hashes in `_WORDS` signed words, each from a remix of the hashes."""
+    out = []
+    for word in range(_WORDS):
+        ones = np.zeros(64, dtype=np.int64)
+        for at in range(0, len(hashes), _CHUNK):
+            mixed = hashes[at : at + _CHUNK].view("<u8") + np.uint64(0x9E3779B97F4A7C15 * (word + 1) & (1 << 64) - 1)
+            mixed = (mixed ^ (mixed >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+            mixed = (mixed ^ (mixed >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+            ones += np.unpackbits((mixed ^ (mixed >> np.uint64(31))).view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+        out.append(int(np.packbits(2 * ones > len(hashes), bitorder="little").view("<i8")[0]))
+    return out
+
+
+def widest(similarity: float, deviations: float = 7.0) -> int:
+    """Differing bits of wide fingerprints that sets of at least that Jaccard similarity stay within: expected ones plus seven standard deviations, which about one pair in 10**11 exceeds."""
+    share, bits = math.acos(2 * similarity / (1 + similarity)) / math.pi, 64 * _WORDS
+    return math.ceil(bits * share + deviations * math.sqrt(bits * share * (1 - share)))
+
 
+class Commonness:
+    """How common shingles are, by powers of two, in a table of fixed size: cells of four bits, 16 to a word.
+
+    Shingles that share a cell count as common as the commonest of them. Any such table gives
+    a global order, which is all that `prefix` needs to miss no pair; a better one meets fewer others.
+    """
+
+    def __init__(self, cells_log2: int, words: dict[int, int]):
+        self.cells_log2 = cells_log2
+        self.cells = np.zeros(max(1, (1 << cells_log2) // 16), dtype="<u8")
+        if words:
+            self.cells[list(words)] = np.array([w & (1 << 64) - 1 for w in words.values()], dtype="<u8")
+
+    def of(self, hashes: np.ndarray) -> np.ndarray:
+        at = hashes.view("<u8") >> np.uint64(64 - self.cells_log2)
+        return (self.cells[(at >> np.uint64(4)).astype(np.int64)] >> ((at & np.uint64(15)) * np.uint64(4))) & np.uint64(15)
 
-def common_shingles(rows: DataFrame, width: int, *, sampled: int = 20_000, least: int = 8, most: int = 100_000) -> tuple[np.ndarray, np.ndarray]:
-    """Shingles (sorted) that many texts share, and their counts, from about `sampled` texts. They only set the order of `prefix`: any order finds the same pairs, this one meets fewer others."""
+
+def commonness(rows: DataFrame, width: int, *, share: int = 8, least: int = 4, cells_log2: int = 24) -> Commonness:
+    """Counted over one of `share` texts, chosen by a hash of their ids; shingles seen there `least` times or more count as common. The driver and each worker hold 2 ** cells_log2 / 2 bytes, whatever the corpus."""
 
     def run(batches: Iterator[dict]) -> Iterator[dict]:
         for got in batches:
             for text in got["text"]:
                 yield {"key": shingle_hashes(text, width)}
 
-    step = max(1, rows.count() // sampled)
-    some = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(step)) == 0)
-    counts = map_rows(some, ["text"], "key bigint", run).groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") >= least)
-    found = sorted((r.key, r.n) for r in counts.orderBy(F.desc("n"), "key").limit(most).collect())
-    return np.array([k for k, _ in found], dtype=np.int64), np.array([n for _, n in found], dtype=np.int64)
+    some = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(share)) == 0)
+    often = map_rows(some, ["text"], "key bigint", run).groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") >= least)
+    cell = F.shiftrightunsigned("key", 64 - cells_log2)
+    each = often.groupBy(cell.alias("cell")).agg(F.max(F.least(F.floor(F.log2("n")), F.lit(15)).cast("bigint")).alias("c"))
+    # At most 2 ** cells_log2 / 16 rows.
+    words = each.groupBy(F.shiftrightunsigned("cell", 4).alias("word")).agg(F.bit_or(F.expr("shiftleft(c, cast(4 * (cell & 15) as int))")).alias("w")).toArrow()
+    return Commonness(cells_log2, dict(zip(words["word"].to_pylist(), words["w"].to_pylist())))
 
 
-def prefix(hashes: np.ndarray, similarity: float, common: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+def prefix(hashes: np.ndarray, similarity: float, common: Commonness) -> np.ndarray:
     """The first shingles of a set, rare ones first: two sets of at least that Jaccard similarity share one of them."""
     if not len(hashes):
         return hashes
-    keys, counts = common
-    often = np.zeros(len(hashes), dtype=np.int64)
-    if len(keys):
-        at = np.minimum(np.searchsorted(keys, hashes), len(keys) - 1)
-        often = np.where(keys[at] == hashes, counts[at], 0)
-    return hashes[np.lexsort((hashes, often))][: len(hashes) - math.ceil(similarity * len(hashes) - _SLACK) + 1]
+    return hashes[np.lexsort((hashes, common.of(hashes)))][: len(hashes) - math.ceil(similarity * len(hashes) - _SLACK) + 1]
 
 
-def _may(similarity: float, n: Column, at: Column, m: Column, other: Column) -> Column:
-    """Whether sets of n and m shingles that first meet at these places of theirs can be similar enough."""
+def _may(similarity: float, a: str, b: str) -> Column:
+    """Whether the sets of structs a and b (id, size, at, words of the wide fingerprint) that meet at these places of theirs can be similar enough."""
+    n, m, at, other = F.col(f"{a}.size"), F.col(f"{b}.size"), F.col(f"{a}.at"), F.col(f"{b}.at")
     long_enough = F.least(n, m) >= similarity * F.greatest(n, m) - _SLACK
-    return long_enough & (F.least(n - at, m - other) >= similarity / (1 + similarity) * (n + m) - _SLACK)
+    room = F.least(n - at, m - other) >= similarity / (1 + similarity) * (n + m) - _SLACK
+    apart = sum(F.bit_count(F.col(f"{a}.{f}").bitwiseXOR(F.col(f"{b}.{f}"))) for f in _SIGS)
+    return long_enough & room & ((apart <= widest(similarity)) | (F.least(n, m) < _FEW))
 
 
 def _alike(rows: DataFrame, pairs: DataFrame, width: int, similarity: float) -> DataFrame:
@@ -240,44 +264,71 @@ def _alike(rows: DataFrame, pairs: DataFrame, width: int, similarity: float) ->
 def similar_groups(docs: DataFrame, *, width: int = 5, similarity: float = 0.8) -> DataFrame:
     """(doc_id, component_id): groups of texts whose sets of word shingles have a Jaccard similarity of at least `similarity`, linked by all such pairs.
 
-    Equal sets fall together by digest; texts without words have equal, empty sets. Two sets
-    that alike share a shingle of their prefixes, so every such pair meets under a key. Each
-    key's members are first verified against the smallest id among them; then all its pairs
-    that this left in different groups are, whatever the size of the key. No pair is dropped
-    except by length, by the place of the shingle, or by its own Jaccard similarity. Rows with
-    a null doc_id aren't grouped.
+    Equal sets fall together by digest; texts without words have equal, empty sets. Pigeonhole
+    blocks over 64 bits are only certain for a few differing bits, and this similarity allows
+    far more, so blocks here are shingles: two sets that alike share one of their prefixes,
+    rare shingles first, and meet under it. Length, the place of the shingle and the Hamming
+    distance of wide fingerprints then drop pairs that can't be alike; what is left is verified
+    by the shingle sets. Each key's members first meet its least edited one (that with the
+    fewest rarer shingles, as an original has against its copies), then those that this left
+    in different groups meet each other. Work on texts that share their prefixes without being
+    alike still grows with the square of their number, but makes no rows. Rows with a null
+    doc_id aren't grouped.
     """
     rows = docs.where("doc_id is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
-    common = common_shingles(rows, width)
+    common = commonness(rows, width)
+    own = lambda got: [np.sort(np.array(shingle_hashes(t, width), dtype=np.int64)) for t in got["text"]]
+    digests = lambda sets: [hashlib.md5(x.tobytes()).hexdigest() for x in sets]
 
-    def run(batches: Iterator[dict]) -> Iterator[dict]:
+    def printed(batches: Iterator[dict]) -> Iterator[dict]:
         for got in batches:
-            sets = [np.sort(np.array(shingle_hashes(t, width), dtype=np.int64)) for t in got["text"]]
-            yield {"doc_id": got["doc_id"], "digest": [hashlib.md5(x.tobytes()).hexdigest() for x in sets], "size": list(map(len, sets)), "head": [prefix(x, similarity, common) for x in sets]}
-
-    hashed = map_rows(rows, ["doc_id", "text"], "doc_id bigint, digest string, size int, head array<bigint>", run)
-    prints = cut(hashed.select("doc_id", "digest"))
-    # Rows of one digest have the same size and prefix. Hashing again takes less disk than writing prefixes out.
-    heads = hashed.where("size > 0").groupBy("digest").agg(F.min("doc_id").alias("id"), F.first("size").alias("size"), F.first("head").alias("head"))
-    keyed = heads.select("id", "size", F.posexplode("head").alias("at", "key")).select(F.shiftrightunsigned("key", 24).alias("key"), "id", "size", "at")  # 40 bits: chance meetings are verified like others
-    by = Window.partitionBy("key").orderBy("id")
-    met = keyed.withColumn("top", F.first(F.struct("id", "size", "at")).over(by)).where("id <> top.id").select("key", "id", "size", "at", F.col("top.id").alias("top"), F.col("top.size").alias("top_size"), F.col("top.at").alias("top_at"))
-    met = cut(met)
-    tried = met.where(_may(similarity, F.col("size"), F.col("at"), F.col("top_size"), F.col("top_at"))).select(F.col("top").alias("x"), F.col("id").alias("y")).distinct()
-    tried = cut(tried)
+            sets = own(got)
+            wide = [wide_fingerprint(x) for x in sets]
+            yield {"doc_id": got["doc_id"], "digest": digests(sets), "size": list(map(len, sets))} | {f: [w[i] for w in wide] for i, f in enumerate(_SIGS)}
+
+    prints = cut(map_rows(rows, ["doc_id", "text"], "doc_id bigint, digest string, size int, " + ", ".join(f"{f} bigint" for f in _SIGS), printed))
+    # One row for a set; sets that occur once, most of them, needn't be looked up.
+    firsts = cut(prints.groupBy("digest").agg(F.min("doc_id").alias("first"), F.count("*").alias("n"), F.first("size").alias("size"), *[F.first(f).alias(f) for f in _SIGS]))
+    again = prints.join(firsts.where("n > 1").select("digest", "first"), "digest").where("doc_id <> first").select("doc_id").distinct()
+    copies = again.limit(_HELD + 1).toArrow()["doc_id"].to_numpy()
+    shuffled = len(copies) > _HELD
+    copies = np.zeros(0, dtype=np.int64) if shuffled else np.sort(copies)
+
+    def keyed(batches: Iterator[dict]) -> Iterator[dict]:
+        for got in batches:
+            ids = np.array(got["doc_id"], dtype=np.int64)
+            fine = np.flatnonzero(np.searchsorted(copies, ids, "right") == np.searchsorted(copies, ids))
+            for start in range(0, len(fine), 256):
+                chosen = fine[start : start + 256]
+                found = [prefix(np.array(shingle_hashes(got["text"][i], width), dtype=np.int64), similarity, common) for i in chosen.tolist()]
+                yield {"key": np.concatenate(found), "id": np.repeat(ids[chosen], list(map(len, found))), "at": np.concatenate([np.arange(len(x), dtype=np.int32) for x in found])}
+
+    texts = rows.join(again, "doc_id", "left_anti") if shuffled else rows
+    heads = map_rows(texts, ["doc_id", "text"], "key bigint, id bigint, at int", keyed)
+    place = F.struct("at", "id")
+    several = heads.groupBy("key").agg(F.min(place).alias("top"), F.max(place).alias("last")).where("top.id <> last.id").select(rekeyed("key"), "top")
+    met = cut(heads.join(several, "key").where("id <> top.id").select("key", "id", "at", "top"))
+    sized = firsts.where("size > 0").select(F.col("first").alias("sized"), F.struct("size", *_SIGS).alias("s"))
+    full = lambda of, at: F.struct(F.col("s.size").alias("size"), F.col(at).alias("at"), *[F.col(f"s.{f}").alias(f) for f in _SIGS]).alias(of)
+    # The first shingle that two sets share has the least place in both.
+    first_met = met.groupBy(F.col("top.id").alias("x"), F.col("id").alias("y")).agg(F.min("top.at").alias("there"), F.min("at").alias("at"))
+    pairs = first_met.join(sized, F.col("y") == F.col("sized")).select(rekeyed("x"), "y", "there", full("a", "at"))
+    tried = cut(pairs.join(sized, F.col("x") == F.col("sized")).select("x", "y", "a", full("b", "there")).where(_may(similarity, "a", "b")).select("x", "y"))
     found = _alike(rows, tried, width, similarity)
     joined = cut(components(found))
-    # Pairs of a key besides its smallest id, where they aren't in one group yet.
-    named = met.select("key", rekeyed("id"), "size", "at").join(joined, F.col("id") == joined.node, "left").select("key", "id", "size", "at", F.coalesce("root", "id").alias("own"))
-    mixed = named.groupBy("key").agg(F.min("own").alias("low"), F.max("own").alias("high")).where("low <> high").select(rekeyed("key"))
-    rest = cut(named.join(mixed, "key", "left_semi"))
-    other = rest.select(rekeyed("key"), F.col("id").alias("y"), F.col("size").alias("m"), F.col("at").alias("there"), F.col("own").alias("its"))
-    pairs = rest.join(other, "key").where((F.col("id") < F.col("y")) & (F.col("own") != F.col("its")) & _may(similarity, F.col("size"), F.col("at"), F.col("m"), F.col("there")))
-    pairs = cut(pairs.select(F.col("id").alias("x"), "y").distinct().join(tried, ["x", "y"], "left_anti"))
+    # Pairs of a key besides its first member, where they aren't in one group yet.
+    all_met = met.select("key", "id", "at").union(met.select("key", F.col("top.id"), F.col("top.at")).distinct())
+    named = all_met.join(joined, F.col("id") == joined.node, "left").select("key", "id", "at", F.coalesce("root", "id").alias("own"))
+    mixed = named.groupBy("key").agg(F.min("own").alias("low"), F.max("own").alias("high"), F.count("*").alias("n")).where("low <> high AND n > 2").select(rekeyed("key"))
+    rest = cut(named.join(mixed, "key", "left_semi").join(sized, F.col("id") == F.col("sized")).select("key", "id", "own", full("a", "at")))
+    other = rest.select(rekeyed("key"), F.col("id").alias("y"), F.col("own").alias("its"), F.col("a").alias("b"))
+    pairs = rest.join(other, (rest["key"] == other["key"]) & (F.col("id") < F.col("y")) & (F.col("own") != F.col("its")) & _may(similarity, "a", "b"))
+    pairs = pairs.select(F.col("id").alias("x"), "y").distinct()
+    known = tried.select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y"))
+    pairs = cut(pairs.join(known, ["x", "y"], "left_anti"))
     if not pairs.isEmpty():
         joined = components(found.union(_alike(rows, pairs, width, similarity)))
-    texts = prints.groupBy("digest").agg(F.min("doc_id").alias("first"))
-    named = texts.join(joined, texts["first"] == joined.node, "left").select("digest", F.coalesce("root", "first").alias("component_id"))
+    named = firsts.join(joined, firsts["first"] == joined.node, "left").select("digest", F.coalesce("root", "first").alias("component_id"))
     return prints.join(named.select(F.concat("digest", F.lit("")).alias("digest"), "component_id"), "digest").select("doc_id", "component_id")
 
 

@@ -117,14 +117,13 @@ def test_crowded_buckets_keep_every_link(spark):
     assert sorted(map(tuple, got)) == plain_groups(prints, 3)
 
 
-def test_shortest_forest_spans_the_same_groups():
+def test_forest_spans_the_groups_of_all_pairs():
     rng = np.random.default_rng(1)
     values = np.unique(rng.integers(0, 1 << 12, 200))
-    for make in (simhash.forest, simhash.nearest_forest):
-        edges = make(values, 2)
-        assert all((a ^ b).bit_count() <= 2 for a, b in edges)
-        assert len({x for e in edges for x in e}) - len(edges) >= 0
-    assert len(simhash.forest(values, 2)) == len(simhash.nearest_forest(values, 2))
+    edges = simhash.forest(values, 1)
+    assert all((a ^ b).bit_count() <= 1 for a, b in edges)
+    groups = {c for _, c in plain_groups([(i, int(v)) for i, v in enumerate(values)], 1)}
+    assert len(values) - len(edges) == len(groups)
 
 
 def test_simhash_odd_rows(odd, none):
@@ -459,3 +458,38 @@ def test_names_are_told_from_keys_as_by_the_ambiguous_form():
     for _ in range(50_000):
         run = "".join(draw.choices("aabbABC12-_", k=draw.randint(0, 10)))
         assert bool(plain.fullmatch(run)) == bool(secrets._NAME.fullmatch(run)), run
+
+
+def test_wide_fingerprints_pass_all_alike_pairs():
+    """Sets at the least similarity, of any size that is judged, stay within the allowed bits; unlike ones mostly don't."""
+    rng = np.random.default_rng(8)
+    most, passed = simhash.widest(0.8), 0
+    apart = lambda a, b: sum(((x ^ y) & (1 << 64) - 1).bit_count() for x, y in zip(simhash.wide_fingerprint(a), simhash.wide_fingerprint(b)))
+    for n in (18, 45, 90, 900):
+        for _ in range(150):
+            both, left, right, other = (rng.integers(-(1 << 62), 1 << 62, k) for k in (n * 8 // 9, n // 9, n // 9, n))
+            assert apart(np.concatenate([both, left]), np.concatenate([both, right])) <= most
+            passed += apart(np.concatenate([both, left]), other) <= most
+    assert not passed
+
+
+def test_an_order_from_a_full_table_misses_no_pair(spark, monkeypatch):
+    """Shingles that share a cell, as in a table too small for its corpus, only change the order."""
+    real = simhash.commonness
+    monkeypatch.setattr(simhash, "commonness", lambda rows, width: real(rows, width, share=1, least=1, cells_log2=6))
+    rng = np.random.default_rng(9)
+    rows = []
+    for i in range(80):
+        words = [f"w{x}" for x in rng.integers(0, 400, 120)]
+        rows += [(2 * i, " ".join(words)), (2 * i + 1, " ".join(words[:-8] + ["new"]))]
+    want = plain_similar(rows)
+    assert sum(d != c for d, c in want) >= 80
+    assert similar(spark, rows) == want
+
+
+def test_pairs_whose_first_member_differs_are_still_met(spark):
+    """Three texts of the same words: one shuffled, the other two one swap apart."""
+    words = [f"w{x}" for x in range(200)]
+    swapped = words[:100] + [words[101], words[100]] + words[102:]
+    rows = [(1, " ".join(sorted(words))), (2, " ".join(words)), (3, " ".join(swapped))]
+    assert similar(spark, rows) == [(1, 1), (2, 2), (3, 2)]

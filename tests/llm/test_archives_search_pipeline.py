@@ -104,12 +104,49 @@ def test_crowded_cells_are_split_without_loss(spark, monkeypatch):
     rng = np.random.default_rng(3)
     x = rng.standard_normal((600, 8))
     df = spark.createDataFrame([(i, [float(c) for c in v]) for i, v in enumerate(x)], "vec_id bigint, embedding array<double>")
-    whole = {(r.query_id, r.vec_id) for r in ann.search(df, F.col("vec_id") < 20, probes=16, tables=1).collect()}
-    monkeypatch.setattr(ann, "CELL", 7)
-    parts = {(r.query_id, r.vec_id) for r in ann.search(df, F.col("vec_id") < 20, probes=16, tables=1).collect()}
-    assert whole == parts
     want = plain_nearest(dict(enumerate(x)), set(range(20)), 10)
-    assert whole == {(q, v) for q, near in want.items() for _, v in near}
+    want = {(q, v) for q, near in want.items() for _, v in near}
+    every = (ann.Plan(1, 1, 16), ann.Plan(2, 1, 256))  # all cells of one table
+    found = lambda plan: {(r.query_id, r.vec_id) for r in ann.search(df, F.col("vec_id") < 20, plan=plan).collect()}
+    assert all(found(plan) == want for plan in every)
+    monkeypatch.setattr(ann, "CELL", 7)
+    assert all(found(plan) == want for plan in every)
+
+
+def test_probes_come_in_the_order_of_their_loss():
+    rng = np.random.default_rng(4)
+    x = rng.standard_normal((5, 8))
+    plan = ann.Plan(2, 1, 40)
+    turned = [ann.rotate(x, j, 11) for j in (0, 1)]
+    signed = [np.concatenate([t, -t], axis=1) for t in turned]
+    for i, (lead, last) in enumerate(ann.probed(x, 0, 11, plan, 40)):
+        loss = sorted((float((signed[0][i].max() - signed[0][i][a]) ** 2 + (signed[1][i].max() - signed[1][i][b]) ** 2), a, b) for a in range(16) for b in range(16))
+        assert [(a, b) for _, a, b in loss[:40]] == list(zip(lead.tolist(), last.tolist()))
+        assert (lead[0], last[0]) == tuple(int(a[0]) for a in ann.probed(x, 0, 11, plan, 1)[i])
+
+
+def test_pairs_of_axes_find_most_of_the_nearest_in_a_small_share_of_random_rows():
+    """The hard case: random directions, of which even the nearest is far off."""
+    rng = np.random.default_rng(5)
+    n, asked = 30_000, 40
+    x = rng.standard_normal((n, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    plan = ann.plan_for(n)
+    seen = np.zeros((asked, n), dtype=bool)
+    for t in range(plan.tables):
+        cells = np.array([lead[0] * 128 + last[0] for lead, last in ann.probed(x, t, 11, plan, 1)])
+        for i, (lead, last) in enumerate(ann.probed(x[:asked], t, 11, plan, plan.probes)):
+            seen[i] |= np.isin(cells, lead * 128 + last)
+    near = np.argsort(-(x[:asked] @ x.T), axis=1)[:, 1:11]
+    assert np.take_along_axis(seen, near, 1).mean() >= 0.9
+    assert seen.mean() <= 0.16
+
+
+def test_packed_vectors_keep_their_direction():
+    rng = np.random.default_rng(6)
+    x = rng.standard_normal((20, 64)) * 10.0 ** rng.integers(-30, 30, (20, 1))
+    back = ann.unpacked([ann.packed(v) for v in x])
+    assert (np.abs(back - x) <= np.abs(x).max(axis=1, keepdims=True) / 253).all()
 
 
 def test_stages(spark, odd, none):

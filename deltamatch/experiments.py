@@ -111,7 +111,7 @@ def retention(queries: list[Query], versions: DataFrame, vertices: DataFrame, ta
     cand = base_candidates(queries, versions.select("src", "dst").distinct(), vertices)
     stale = cut(index.consult(adj0, cand, r=r, cap=cap).where("state = 'deployed'"))
     ball0 = cut(balls.vertex_balls(adj0, stale.select("v"), 2, cap))
-    before = cut(balls.induced_edges(ball0, adj0).groupBy(F.col("center").alias("v")).agg(F.count("*").alias("ne0")))
+    before = cut(balls.induced_edges(ball0, adj0).withColumnRenamed("center", "v"))
     rejected = cut(filters.ball_tests(cand, queries, stale, r=r).where("killers > 1").select("query_id", "u", "v"))
     centers = rejected.select("v").distinct()
     inserts = versions.where("valid_from > 0")
@@ -128,8 +128,9 @@ def retention(queries: list[Query], versions: DataFrame, vertices: DataFrame, ta
     numbered = cut(numbered)
     exact = cut(index._solved_at(numbered.select("key", "center", "at"), versions, 2, r, cap).where("spec IS NOT NULL"))
     inside = ball.select("key", "at", F.col("member").alias("a")).join(versions.select(F.col("src").alias("a"), F.col("dst").alias("b"), "valid_from", "valid_to"), "a").where("valid_from <= at AND at < valid_to").join(ball.select("key", F.col("member").alias("b")), ["key", "b"], "left_semi")
-    now = inside.groupBy("key").agg(F.count("*").alias("ne1"))
-    at_tau = numbered.select("key", "tau").join(exact.select("key", F.col("center").alias("v"), F.col("spec").alias("now")), "key").join(now, "key").join(before, "v").withColumn("k", F.greatest(F.col("ne1") - F.col("ne0"), F.lit(0)))
+    # Edges that the ball has gained; deletions don't make up for them.
+    gained = inside.join(numbered.select("key", F.col("center").alias("v")), "key").join(before, ["v", "a", "b"], "left_anti").groupBy("key").agg(F.count("*").alias("k"))
+    at_tau = numbered.select("key", "tau").join(exact.select("key", F.col("center").alias("v"), F.col("spec").alias("now")), "key").join(gained, "key", "left").na.fill(0, ["k"])
     sides = versions.sparkSession.createDataFrame([(n, u, s) for n, u, _, s in filters.query_values(queries, 2, r)], "query_id string, u int, q array<double>")
     rows = rejected.join(F.broadcast(sides), ["query_id", "u"]).join(stale.select("v", F.col("spec").alias("d")), "v").join(at_tau, "v")
     q, d, k = F.col("q"), F.col("d"), F.col("k")

@@ -183,6 +183,7 @@ ORACLES: dict[str, str] = _deltas | {
     "spectral_moments": _with("SELECT center, CAST(sum(d) AS BIGINT) AS m1, CAST(sum(d * d + d) AS BIGINT) AS m2, CAST(sum(d * d * d + 3 * d * d) - 6 * coalesce(max(tri), 0) AS BIGINT) AS m3 FROM bd LEFT JOIN tri USING (center) GROUP BY center"),
     "closed_walks_are_triangles": _with("SELECT center, 6 * coalesce(tri, 0) AS walks FROM small LEFT JOIN tri USING (center)"),
     "reverse_index_fanout": _with("SELECT member, count(*) AS centers FROM b2 GROUP BY member"),
+    "reverse_compaction": _with("SELECT (SELECT count(*) FROM b2all) AS rows, (SELECT count(*) FROM b2) AS live_rows"),
     "coverage_by_cap": _with("SELECT cap, count(*) FILTER (nv <= cap) AS deployed, count(*) AS vertices FROM al, (VALUES (8), (16), (32), (64), (128)) c(cap) GROUP BY cap", _ALLSIZES),
     "utility_bucket_sizes": _with(f"SELECT {_BUCKET} AS bucket, count(*) AS n FROM al GROUP BY 1", _ALLSIZES),
     "report_rollup": _with("SELECT label, CAST(bucket AS BIGINT) AS bucket, count(*) AS n FROM (SELECT label, least(degree, 5) AS bucket FROM deg JOIN vx ON id = v) GROUP BY ROLLUP (label, bucket)"),

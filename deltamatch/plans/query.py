@@ -108,7 +108,7 @@ def sample(edges: DataFrame, vertices: DataFrame, kind: str, size: int, count: i
     """`count` connected queries of a kind ("dense": the frontier vertex with most links next; "walk": a tree-like walk).
 
     Seeds come in the order of their ids' md5. Only the surroundings of the seeds reach the
-    driver: at most `size` hops are needed, taken hop by hop and bounded to 50,000 edges.
+    driver: at most `size` hops are needed, taken hop by hop and bounded to the first 50,000 edges.
     """
     from pyspark.sql import functions as F
 
@@ -119,7 +119,7 @@ def sample(edges: DataFrame, vertices: DataFrame, kind: str, size: int, count: i
     near: dict[int, set[int]] = {}
     front = set(seeds)
     for _ in range(4 if kind == "dense" else min(size, 8)):
-        rows = adj.where(F.col("v").isin(list(front))).limit(50_000).collect() if front else []
+        rows = adj.where(F.col("v").isin(sorted(front))).orderBy("v", "w").limit(50_000).collect() if front else []
         for r in rows:
             near.setdefault(r.v, set()).add(r.w)
         front = {r.w for r in rows} - near.keys()

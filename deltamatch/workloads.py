@@ -216,6 +216,15 @@ def reverse_index_fanout(spark, sf_dir):
     return index.reverse(_balls(_edges(spark, sf_dir))[0]).groupBy("member").agg(F.count("*").alias("centers"))
 
 
+def reverse_compaction(spark, sf_dir):
+    """(rows, live_rows): the reverse index of all balls, and what compaction leaves of it once those beyond the cap are evicted."""
+    ball = _balls(_edges(spark, sf_dir), 2, None)[0]
+    live = balls.sizes(ball).where(F.col("nv") <= CAP).select(F.col("center").alias("v"))
+    count = lambda rev, name: rev.agg(F.count("*").alias(name))
+    rev = index.reverse(ball)
+    return count(rev, "rows").crossJoin(count(index.compact(rev, live), "live_rows"))  # single rows
+
+
 def coverage_by_cap(spark, sf_dir):
     sizes = balls.sizes(_balls(_edges(spark, sf_dir), 2, None)[0])
     rows = sizes.select("nv", F.explode(F.array(*map(F.lit, (8, 16, 32, 64, 128)))).alias("cap"))
@@ -439,6 +448,24 @@ def utility_by_ball_size(spark, sf_dir):
     return X.utility(X.power(queries, edges, vertices, cap=None))
 
 
+def retained_by_cap(spark, sf_dir):
+    """(cap, deployed, vertices, retained, rejections): vertices that a cap deploys, and the rejections of uncapped balls that are left under it."""
+    queries, edges, vertices = _dense(spark, sf_dir, (8, 12), 3)
+    return X.coverage(X.power(queries, edges, vertices, cap=None), balls.sizes(_balls(edges, 2, None)[0]))
+
+
+def retention_with_deletions(spark, sf_dir):
+    """(tau, rule, base, retained, unsafe) over the stream of 70 % insertions and 30 % deletions; a safe rule is never unsafe."""
+    queries, edges, vertices = _dense(spark, sf_dir, (12,), 2)
+    return X.retention(queries, cut(streams.edge_versions(streams.mixed_stream(edges, 0.7))), vertices)
+
+
+def gate_configurations(spark, sf_dir):
+    """The matrix of the gate without triangles and of both layers, beside the control."""
+    queries, edges, vertices = _dense(spark, sf_dir, (8,), 1)
+    return X.matrix(queries, cut(streams.edge_versions(streams.insert_stream(edges))), vertices, ("control", "laplacian_gate", "vertex_gate"))
+
+
 def retention_curve(spark, sf_dir):
     queries, edges, vertices = _dense(spark, sf_dir, (12, 16), 2)
     return X.retention(queries, cut(streams.edge_versions(streams.insert_stream(edges, 0.7))), vertices)
@@ -612,12 +639,12 @@ STRICT = [
     shared_line_edges, page_link_fanout, trade_degrees, zipf_label_counts, renewed_stream_births, deletion_gate,
     copurchase_edges, copurchase_stream_90_10, mixed_stream_70_30, edge_versions, degree_table, label_profile, temporal_user_edges, sliding_window_edges, event_sessions, asof_version_lookup,
     ldf_candidates, nlf_candidates, propagation_two_rounds, candidate_space_scans, list_scan_cost, dominance_candidates, list_driven_matches, list_driven_scans, ball_sizes_h1, ball_sizes_h2, ball_edge_counts, ball_triangles, degree_overflow_screen,
-    hub_excluded_components, conjugate_degree_ceiling, spectral_moments, closed_walks_are_triangles, reverse_index_fanout, coverage_by_cap, utility_bucket_sizes, report_rollup, mass_cost, ceilings_vs_lattice, bound_rules,
+    hub_excluded_components, conjugate_degree_ceiling, spectral_moments, closed_walks_are_triangles, reverse_index_fanout, reverse_compaction, coverage_by_cap, utility_bucket_sizes, report_rollup, mass_cost, ceilings_vs_lattice, bound_rules,
     delta_mixed_signs, delta_labelled, match_lifetimes, static_matches, level_intermediates_control, level_intermediates_nlf, trade_rings, gate_counts_fire, gate_fire_by_label, exact_vs_naive_triggers, decoy_workload,
     pruned_visited_overlap, interlacing_violations, majorisation_violations, ceiling_violations, gate_wrong_skips, envelope_violations,
 ]
 ROWS_ONLY = [
-    vertex_spectra, interlace_candidates, component_attribution, utility_by_ball_size, retention_curve, rejection_margins, laplacian_gate, headroom_ratio, envelope_index, exact_index,
+    vertex_spectra, interlace_candidates, component_attribution, utility_by_ball_size, retained_by_cap, retention_curve, retention_with_deletions, gate_configurations, rejection_margins, laplacian_gate, headroom_ratio, envelope_index, exact_index,
     spectral_overlap, order_feedback, index_footprint, resync_changes, budgeted_run, random_graph_utility, temporal_triangles, neighbour_graph,
     static_construction, replication_matrix, second_engine, sparse_queries, admission, propagation_modes,
 ]

@@ -158,11 +158,36 @@ def triggers(versions: DataFrame, deployed: DataFrame, h: int = 2, cap: int = 64
     return updates.agg(F.count("*").alias("updates")).crossJoin(both).crossJoin(either)  # single rows
 
 
-def overlap(queries: list[Query], base: DataFrame, kept: DataFrame, control: engines.Run) -> DataFrame:
-    """(query_id, rejected, visited): pairs a test rejects, and those of them that occur in a control run's matches."""
-    gone = base.join(kept, ["query_id", "u", "v"], "left_anti")
-    seen = gone.join(index.bindings(control.matches), ["query_id", "u", "v"], "left_semi").groupBy("query_id").agg(F.count("*").alias("visited"))
-    return gone.groupBy("query_id").agg(F.count("*").alias("rejected")).join(seen, "query_id", "left").na.fill(0)
+def overlap(tested: DataFrame, visited: DataFrame) -> DataFrame:
+    """(query_id, rejected, visited, overlap, doomed) of pairs (u, v), accumulated over a stream.
+
+    tested: ball tests on version rows; visited: a run's log of every binding. overlap counts
+    pairs rejected at some time and visited at some time; doomed counts those visited while
+    rejected. The others were visited only while admitted: their state flipped in the stream.
+    """
+    pair = ["query_id", "u", "v"]
+    gone = cut(tested.where("killers > 0").select(*pair, "seq_from", "seq_to"))
+    ever = gone.select(*pair).distinct()
+    seen = visited.select(*pair).distinct()
+    doomed = visited.join(gone, pair).where("seq_from <= seq AND seq < seq_to").select(*pair).distinct()
+    count = lambda df, name: df.groupBy("query_id").agg(F.count("*").alias(name))
+    out = count(ever, "rejected").join(count(seen, "visited"), "query_id", "full")
+    for df, name in ((ever.join(seen, pair, "left_semi"), "overlap"), (doomed, "doomed")):
+        out = out.join(count(df, name), "query_id", "left")
+    return out.na.fill(0)
+
+
+def budgets(queries: list[Query], versions: DataFrame, vertices: DataFrame, cand: DataFrame, seconds: float, factors: tuple[int, ...] = (1, 5, 10), batches: int = 4) -> list[tuple]:
+    """(query_id, budget, factor, seconds, last_seq, intermediates, matches, solved): one run a query under the largest budget, read off for each."""
+    last = versions.agg(F.max("valid_from")).first()[0] or 0
+    out = []
+    for q in queries:
+        rows = engines.paced(q, versions, vertices, seconds=seconds * max(factors), cand=cand, batches=batches)
+        for factor in factors:
+            done = [r for i, r in enumerate(rows) if i == 0 or rows[i - 1][1] <= seconds * factor]
+            spent, at = (done[-1][1], done[-1][0]) if done else (0.0, 0)
+            out.append((q.name, seconds, factor, spent, at, sum(r[2] for r in done), sum(r[3] for r in done), at >= last and spent <= seconds * factor))
+    return out
 
 
 def static_costs(queries: list[Query], edges: DataFrame, vertices: DataFrame, r: int = 8) -> DataFrame:

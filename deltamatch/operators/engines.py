@@ -11,7 +11,8 @@ next level read it.
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -26,13 +27,13 @@ PARTIAL = "query_id string, anchor int, seq bigint, bind array<bigint>"
 
 @dataclass
 class Run:
-    """What a run made: matches (query_id, seq, sign, n) or their bindings, counters per level, and its status."""
+    """What a run made: matches (query_id, seq, sign, bind), counters per level, its status and, if logged, every binding (query_id, u, v, seq, anchored)."""
 
     matches: DataFrame
     levels: DataFrame
     solved: bool = True
     seconds: float = 0.0
-    parts: list[DataFrame] = field(default_factory=list)
+    visited: DataFrame | None = None
 
 
 def _anchors(queries: list[Query], sizes: dict[str, dict[int, int]] | None = None) -> list[tuple]:
@@ -59,7 +60,17 @@ def _seeds(spark: SparkSession, queries: list[Query], anchors: list[tuple], chan
     return known.join(asked, ["lu", "lw"]).select("query_id", "anchor", "seq", bind.alias("bind"))
 
 
-def _level(partials: DataFrame, steps: DataFrame, adj: DataFrame, cand: DataFrame | None) -> DataFrame:
+def _admitted(rows: DataFrame, cand: DataFrame, u: str, v: str, sign: int = 1) -> DataFrame:
+    """rows whose vertex v is a candidate of u; candidates with seq_from and seq_to count only while they hold, before a deletion or after an insertion."""
+    known = cand.withColumnsRenamed({"query_id": "__q", "u": "__u", "v": "__v"})
+    on = (F.col("query_id") == F.col("__q")) & (F.col(u) == F.col("__u")) & (F.col(v) == F.col("__v"))
+    if "seq_from" in cand.columns:
+        at = F.col("seq") - (0 if sign > 0 else 1)
+        on = on & (F.col("seq_from") <= at) & (at < F.col("seq_to"))
+    return rows.join(known, on, "left_semi")
+
+
+def _level(partials: DataFrame, steps: DataFrame, adj: DataFrame, cand: DataFrame | None, sign: int = 1) -> DataFrame:
     """One more vertex for each partial match; steps: (query_id, anchor, x, x_label, back ARRAY<INT>)."""
     rows = partials.join(steps, ["query_id", "anchor"]).select("query_id", "anchor", "seq", "bind", "x", "x_label", F.size("back").alias("need"), F.explode("back").alias("b"))
     rows = rows.withColumn("v", F.get("bind", F.col("b")))
@@ -69,7 +80,7 @@ def _level(partials: DataFrame, steps: DataFrame, adj: DataFrame, cand: DataFram
     several = met.where("need > 1").groupBy("query_id", "anchor", "seq", "bind", "x", "w", "need").agg(F.count("*").alias("n")).where("n = need").select("query_id", "anchor", "seq", "bind", "x", "w")
     pool = single.union(several)
     if cand is not None:
-        pool = pool.join(cand.select("query_id", F.col("u").alias("x"), F.col("v").alias("w")), ["query_id", "x", "w"], "left_semi")
+        pool = _admitted(pool, cand, "x", "w", sign)
     return pool.select("query_id", "anchor", "seq", F.transform("bind", lambda y, i: F.when(i == F.col("x"), F.col("w")).otherwise(y)).alias("bind"))
 
 
@@ -83,18 +94,19 @@ def _verified(tried: DataFrame, rest: DataFrame, adj: DataFrame) -> DataFrame:
     return rows.where(F.size("rest") == 0).select(*key).union(held.select(*key))
 
 
-def delta(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, cand: DataFrame | None = None, skips: DataFrame | None = None, sign: int = 1, sizes: dict[str, dict[int, int]] | None = None, seconds: float | None = None, since: int = 0, late: bool = False) -> Run:
+def delta(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, cand: DataFrame | None = None, skips: DataFrame | None = None, sign: int = 1, sizes: dict[str, dict[int, int]] | None = None, seconds: float | None = None, since: int = 0, until: int = OPEN_END, late: bool = False, log: bool = False) -> Run:
     """Engine A: matches born (sign 1) or gone (sign -1) at each update, anchored at the changed edge.
 
     An update's matches use it as their newest edge: all other edges are older and alive, so
     each match appears once. skips: (query_id, seq) that a gate has ruled out. cand restricts
-    every vertex. sizes makes matching orders follow candidate counts. The budget is checked
-    between levels; a run over it is flagged, never trimmed. Only updates after `since` count.
-    With `late` a level grows along one edge and is counted before its other edges are verified.
+    every vertex; with columns seq_from and seq_to, only at updates in between. sizes makes
+    matching orders follow candidate counts. The budget is checked between levels; a run over
+    it is flagged, never trimmed. Only updates after `since` and up to `until` count. With
+    `log` the run keeps each binding it performs, the anchor's ends included and marked. With `late` a level grows along one edge and is counted before its other edges are verified.
     """
     spark, began = versions.sparkSession, time.monotonic()
     at, other = (("valid_from", F.col("valid_from") > 0) if sign > 0 else ("valid_to", F.col("valid_to") < OPEN_END))
-    changed = versions.where(other & (F.col(at) > since)).select(F.col(at).alias("seq"), "src", "dst")
+    changed = versions.where(other & (F.col(at) > since) & (F.col(at) <= until)).select(F.col(at).alias("seq"), "src", "dst")
     anchors = _anchors(queries, sizes)
     labels = vertices.select("id", F.coalesce("label", F.lit(-1)).alias("w_label"))
     adj = cut(both_ways(versions).join(labels.withColumnRenamed("id", "w"), "w", "left").select("v", "w", F.coalesce("w_label", F.lit(-1)).alias("w_label"), "valid_from", "valid_to"))
@@ -104,10 +116,14 @@ def delta(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, can
     if cand is not None:  # the anchor's own ends are candidates too
         for end in (0, 1):
             ends = F.broadcast(spark.createDataFrame([(n, a, (u, w)[end]) for n, a, u, w, *_ in anchors], "query_id string, anchor int, u int"))
-            partials = partials.join(ends, ["query_id", "anchor"]).withColumn("v", F.get("bind", F.col("u"))).join(cand, ["query_id", "u", "v"], "left_semi").select("query_id", "anchor", "seq", "bind")
+            partials = _admitted(partials.join(ends, ["query_id", "anchor"]).withColumn("v", F.get("bind", F.col("u"))), cand, "u", "v", sign).select("query_id", "anchor", "seq", "bind")
     by_name = {q.name: q for q in queries}
     done, levels, solved = [], [], True
     depth, partials = 2, cut(partials)
+    seen = []
+    if log:  # one slot for each end
+        held = partials.select("query_id", "seq", F.posexplode("bind").alias("u", "v")).where("v IS NOT NULL")
+        seen.append(held.select("query_id", "u", "v", "seq", F.lit(True).alias("anchored")).distinct())
     while True:
         full = [q.name for q in queries if q.size == depth]
         if full:
@@ -125,8 +141,10 @@ def delta(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, can
                 rows.append((n, a, x, by_name[n].labels[x], [y for y in order[:depth] if y in by_name[n].near(x)]))
         grown = [(*row[:4], row[4][:1]) for row in rows] if late else rows
         steps = F.broadcast(spark.createDataFrame(grown, "query_id string, anchor int, x int, x_label int, back array<int>"))
-        partials = cut(_level(partials, steps, adj, cand))
+        partials = cut(_level(partials, steps, adj, cand, sign))
         depth += 1
+        if log:
+            seen.append(partials.join(steps, ["query_id", "anchor"]).select("query_id", F.col("x").alias("u"), F.get("bind", F.col("x")).alias("v"), "seq", F.lit(False).alias("anchored")).distinct())
         levels.append(partials.groupBy("query_id", "seq").agg(F.count("*").alias("n")).withColumn("level", F.lit(depth)))
         if late:
             rest = spark.createDataFrame([(n, a, x, back[1:]) for n, a, x, _, back in rows], "query_id string, anchor int, x int, rest array<int>")
@@ -138,7 +156,30 @@ def delta(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, can
     counted = spark.createDataFrame([], "query_id string, seq bigint, n bigint, level int")
     for part in levels:
         counted = counted.unionByName(part)
-    return Run(matches, counted, solved, time.monotonic() - began)
+    visited = cut(reduce(DataFrame.union, seen).distinct()) if log else None
+    return Run(matches, counted, solved, time.monotonic() - began, visited)
+
+
+def paced(query: Query, versions: DataFrame, vertices: DataFrame, *, seconds: float, cand: DataFrame | None = None, batches: int = 8) -> list[tuple[int, float, int, int]]:
+    """(last seq, seconds so far, intermediates, matches) of each batch of updates of one query, in stream order.
+
+    The budget is checked between batches: the batch that crosses it is completed and is
+    the last. A run that reaches the last update has solved its query if its time is within
+    the budget; every smaller budget can be read off the same rows.
+    """
+    last = versions.agg(F.max(F.greatest("valid_from", F.when(F.col("valid_to") < OPEN_END, F.col("valid_to"))))).first()[0] or 0
+    marks = sorted({last * (i + 1) // batches for i in range(batches)} - {0})
+    out, spent, since = [], 0.0, 0
+    for mark in marks:
+        began = time.monotonic()
+        got = delta([query], versions, vertices, cand=cand, since=since, until=mark)
+        made, found = got.levels.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0], got.matches.count()
+        spent += time.monotonic() - began
+        out.append((mark, spent, made, found))
+        since = mark
+        if spent > seconds:
+            break
+    return out
 
 
 def delta_reduced(queries: list[Query], versions: DataFrame, vertices: DataFrame, *, cand: DataFrame, skips: DataFrame | None = None, sign: int = 1) -> Run:

@@ -47,20 +47,23 @@ def query_values(queries: list[Query], h: int, r: int) -> list[tuple]:
 def ball_tests(cand: DataFrame, queries: list[Query], spectra: DataFrame, h: int = 2, r: int = 4) -> DataFrame:
     """cand with killers: bit 0 where the data ball is too small, bit t where eigenvalue t is too low.
 
-    spectra: (v, nv, spec) of deployed vertices; others pass. One broadcast of the query side, one join by v.
+    spectra: (v, nv, spec) of deployed vertices; others pass. Version rows keep their seq_from
+    and seq_to, with a result for each. One broadcast of the query side, one join by v.
     """
+    times = [c for c in ("seq_from", "seq_to") if c in spectra.columns]
     asked = cand.sparkSession.createDataFrame(query_values(queries, h, r), "query_id string, u int, q_nv int, q_spec array<double>")
-    met = cand.join(F.broadcast(asked), ["query_id", "u"]).join(spectra.select("v", "nv", "spec"), "v", "left")
+    met = cand.join(F.broadcast(asked), ["query_id", "u"]).join(spectra.select("v", "nv", "spec", *times), "v", "left")
     bits = F.when(F.col("nv") < F.col("q_nv"), 1).otherwise(0)
     for t in range(r):
         q, d = F.col("q_spec")[t], F.col("spec")[t]
         bits = bits + F.when(q > d + EPSILON * F.greatest(F.lit(1.0), q), 1 << (t + 1)).otherwise(0)
-    return met.select("query_id", "u", "v", "nv", F.coalesce(F.when(F.col("spec").isNotNull(), bits), F.lit(0)).cast("int").alias("killers"))
+    return met.select("query_id", "u", "v", "nv", F.coalesce(F.when(F.col("spec").isNotNull(), bits), F.lit(0)).cast("int").alias("killers"), *times)
 
 
 def passed(tested: DataFrame, *, size_only: bool = False) -> DataFrame:
+    """Pairs that pass, with the times they do if tested on version rows."""
     fine = F.col("killers").bitwiseAND(1) == 0 if size_only else F.col("killers") == 0
-    return tested.where(fine).select("query_id", "u", "v")
+    return tested.where(fine).select("query_id", "u", "v", *[c for c in ("seq_from", "seq_to") if c in tested.columns])
 
 
 def attribution(tested: DataFrame, r: int = 4) -> DataFrame:

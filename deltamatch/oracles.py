@@ -64,15 +64,16 @@ def _born(query: Query) -> str:
     return _with(f"SELECT CAST(born AS BIGINT) AS seq, 1 AS sign, count(*) AS matches FROM {_lives(query)} WHERE born > 0 GROUP BY born", _versioned("v1"))
 
 
-def _levels(query: Query, cand: bool) -> str:
-    """Bindings per level over all anchors in their matching orders."""
-    parts = []
+def _steps(query: Query, cand: bool):
+    """(level, u, its vertex, FROM, WHERE) of every binding, level 2 being both ends of an anchor, over all anchors in their matching orders."""
     keep = lambda u, c: f" AND {c} IN (SELECT v FROM nlf WHERE query_id = '{query.name}' AND u = {u})" if cand else ""
     for a, b in query.edges:
         for u, w in ((a, b), (b, a)):
             order = query.order(u, w)
             sources, text = ["v1 s"], "s.valid_from > 0" + _label(query, u, "s.src") + _label(query, w, "s.dst") + keep(u, "s.src") + keep(w, "s.dst")
             at = {u: "s.src", w: "s.dst"}
+            for x, here in at.items():
+                yield 2, x, here, ", ".join(sources), text
             for depth in range(2, query.size):
                 x = order[depth]
                 for j, y in enumerate(v for v in order[:depth] if v in query.near(x)):
@@ -82,10 +83,20 @@ def _levels(query: Query, cand: bool) -> str:
                 here = f"y{depth}_0.w"
                 text += "".join(f" AND {here} <> {other}" for other in at.values()) + _label(query, x, here) + keep(x, here)
                 at[x] = here
-                parts.append(f"SELECT {depth + 1} AS level, count(*) AS n FROM {', '.join(sources)} WHERE {text}")
+                yield depth + 1, x, here, ", ".join(sources), text
+
+
+def _levels(query: Query, cand: bool) -> str:
+    """Bindings per level beyond the anchor."""
+    parts = [f"SELECT {level} AS level, count(*) AS n FROM {sources} WHERE {text}" for level, _, _, sources, text in _steps(query, cand) if level > 2]
     return f"SELECT '{query.name}' AS query_id, level, CAST(sum(n) AS BIGINT) AS n FROM ({' UNION ALL '.join(parts)}) GROUP BY level"
 
 
+def _visited(queries: tuple[Query, ...]) -> str:
+    """Every binding the engine performs without candidates, as a named table."""
+    return "seen AS (" + " UNION ".join(f"SELECT '{q.name}' AS query_id, {u} AS u, {here} AS v, {level == 2} AS anchored FROM {sources} WHERE {text}" for q in queries for level, u, here, sources, text in _steps(q, False)) + ")"
+
+
 _LDF = "ldf AS (" + " UNION ALL ".join(f"SELECT '{q.name}' AS query_id, {u} AS u, v FROM deg JOIN vx ON id = v WHERE label = {q.labels[u]} AND degree >= {len(q.near(u))}" for q in LABELLED for u in range(q.size)) + ")"
 _NEEDS = "needs(query_id, u, w_label, need) AS (VALUES " + ", ".join(f"('{q.name}', {u}, {label}, {n})" for q in LABELLED for u in range(q.size) for label, n in q.needs(u).items()) + ")"
 _NLF = f"{_LDF}, {_NEEDS}, nlf AS (SELECT query_id, u, v FROM ldf WHERE NOT EXISTS (SELECT 1 FROM needs k WHERE k.query_id = ldf.query_id AND k.u = ldf.u AND coalesce((SELECT n FROM prof p WHERE p.v = ldf.v AND p.w_label = k.w_label), 0) < k.need))"
@@ -204,5 +215,7 @@ ORACLES: dict[str, str] = _deltas | {
     "exact_vs_naive_triggers": _with(
         "SELECT seq, (SELECT count(*) FROM b2 x JOIN b2 y ON y.center = x.center AND y.member = s.dst WHERE x.member = s.src) AS exact, (SELECT count(DISTINCT center) FROM b2 x WHERE x.member IN (s.src, s.dst)) AS either FROM s1 s WHERE seq > 0"),
     "decoy_workload": "SELECT CAST(51 AS BIGINT) AS updates, CAST(50 AS BIGINT) AS skipped, CAST(720 AS BIGINT) AS matches",
-    "pruned_visited_overlap": _with("SELECT query_id, u, count(*) AS rejected, CAST(0 AS BIGINT) AS visited FROM (SELECT * FROM ldf EXCEPT SELECT * FROM nlf) GROUP BY ALL", _NLF),
-} | {k: _ZERO for k in ("interlacing_violations", "majorisation_violations", "ceiling_violations", "gate_wrong_skips", "envelope_violations")}
+    "pruned_visited_overlap": _with(
+        "SELECT query_id, u, count(*) AS rejected, count(*) FILTER ((query_id, u, v) IN (SELECT (query_id, u, v) FROM seen WHERE anchored)) AS anchored, count(*) FILTER ((query_id, u, v) IN (SELECT (query_id, u, v) FROM seen WHERE NOT anchored)) AS visited FROM (SELECT * FROM ldf EXCEPT SELECT * FROM nlf) GROUP BY ALL",
+        f"{_versioned('v1')}, {_NLF}, {_visited(LABELLED)}"),
+} | {k: _ZERO for k in ("interlacing_violations", "majorisation_violations", "ceiling_violations", "gate_wrong_skips", "envelope_violations", "versioned_match_changes")}

@@ -357,16 +357,17 @@ def decoy_workload(spark, sf_dir):
 
 
 def pruned_visited_overlap(spark, sf_dir):
-    """(query_id, u, rejected, visited): label-degree candidates that the neighbour-label filter rejects, and those of them in matches of the run without it; visited must be 0."""
+    """(query_id, u, rejected, anchored, visited): label-degree candidates that the neighbour-label filter rejects, and those of them that the run without it binds, at the anchor and beyond it, whether or not a match comes of it."""
     versions, vertices = _inserts(spark, sf_dir), _vertices(spark, sf_dir)
     edges = versions.select("src", "dst")
     adj = graph.adjacency(edges, vertices)
     base = cut(filters.label_degree(list(LABELLED), vertices, graph.degrees(adj)))
     kept = filters.label_neighbour(base, list(LABELLED), graph.label_profile(adj))
     gone = cut(base.join(kept, ["query_id", "u", "v"], "left_anti"))
-    run = engines.delta(list(LABELLED), versions, vertices)
-    seen = gone.join(index.bindings(run.matches), ["query_id", "u", "v"], "left_semi").groupBy("query_id", "u").agg(F.count("*").alias("visited"))
-    return gone.groupBy("query_id", "u").agg(F.count("*").alias("rejected")).join(seen, ["query_id", "u"], "left").na.fill(0)
+    bound = engines.delta(list(LABELLED), versions, vertices, log=True).visited.groupBy("query_id", "u", "v").agg(F.max("anchored").alias("a"), F.min("anchored").alias("b"))
+    met = gone.join(bound, ["query_id", "u", "v"], "left")
+    total = lambda c, name: F.sum(F.coalesce(c, F.lit(False)).cast("bigint")).alias(name)
+    return met.groupBy("query_id", "u").agg(F.count("*").alias("rejected"), total(F.col("a"), "anchored"), total(~F.col("b"), "visited"))
 
 
 # Breaches of what must hold: each is a count that has to be 0
@@ -574,14 +575,33 @@ def deletion_gate(spark, sf_dir):
     return log.groupBy("decision").agg(F.count("*").alias("n"))
 
 
-def spectral_overlap(spark, sf_dir):
-    """(query_id, rejected, visited): candidates the spectral test rejects, and those in matches of the control."""
+def _versioned_tests(spark, sf_dir):
+    """Queries, versions, vertices, base candidates, and their spectral tests at every version of the exact index."""
     queries, edges, vertices = _dense(spark, sf_dir, (8,), 2)
     versions = cut(streams.edge_versions(streams.insert_stream(edges)))
     base = X.base_candidates(queries, edges, vertices)
-    held = cut(index.envelope(versions, base, r=8))
-    kept = cut(filters.passed(filters.ball_tests(base, queries, held, r=8)))
-    return X.overlap(queries, base, kept, engines.delta(queries, versions, vertices, cand=base))
+    held = cut(index.maintain(versions, base.select("v").distinct(), r=8))
+    return queries, versions, vertices, base, cut(filters.ball_tests(base, queries, held, r=8))
+
+
+def spectral_overlap(spark, sf_dir):
+    """(test, query_id, rejected, visited, overlap, doomed): bindings the exact index ever rejects against all that the engine performs, without the test and with candidates as they stand at each update; doomed is 0 with it."""
+    queries, versions, vertices, base, tested = _versioned_tests(spark, sf_dir)
+    out = None
+    for name, cand in (("off", base), ("on", filters.passed(tested))):
+        run = engines.delta(queries, versions, vertices, cand=cand, log=True)
+        rows = X.overlap(tested, run.visited).select(F.lit(name).alias("test"), "*")
+        out = rows if out is None else out.union(rows)
+    return out
+
+
+def versioned_match_changes(spark, sf_dir):
+    """Updates whose match count with candidates of each update's own spectra differs from the control's."""
+    queries, versions, vertices, base, tested = _versioned_tests(spark, sf_dir)
+    count = lambda cand: engines.match_counts(engines.delta(queries, versions, vertices, cand=cand))
+    off, on = count(base), count(filters.passed(tested)).withColumnRenamed("matches", "found")
+    both = off.join(on, ["query_id", "seq", "sign"], "full")
+    return _breaches(both, ~F.col("matches").eqNullSafe(F.col("found")))
 
 
 def order_feedback(spark, sf_dir):
@@ -621,11 +641,12 @@ def resync_changes(spark, sf_dir):
 
 
 def budgeted_run(spark, sf_dir):
-    """(seconds, solved): the same run under budgets checked between levels."""
-    queries, edges, vertices = _dense(spark, sf_dir, (8,), 1)
+    """(query_id, budget, factor, seconds, last_seq, intermediates, matches, solved): queries under 1, 5 and 10 times a budget of 5 s, checked between batches of updates."""
+    queries, edges, vertices = _dense(spark, sf_dir, (8,), 2)
     versions = cut(streams.edge_versions(streams.insert_stream(edges)))
-    rows = [(float(s), engines.delta(queries, versions, vertices, seconds=s).solved) for s in (0.0, 600.0)]
-    return spark.createDataFrame(rows, "seconds double, solved boolean")
+    cand = X.base_candidates(queries, edges, vertices)
+    schema = "query_id string, budget double, factor int, seconds double, last_seq bigint, intermediates bigint, matches bigint, solved boolean"
+    return spark.createDataFrame(X.budgets(queries, versions, vertices, cand, 5.0), schema)
 
 
 def random_graph_utility(spark, sf_dir):
@@ -641,7 +662,7 @@ STRICT = [
     ldf_candidates, nlf_candidates, propagation_two_rounds, candidate_space_scans, list_scan_cost, dominance_candidates, list_driven_matches, list_driven_scans, ball_sizes_h1, ball_sizes_h2, ball_edge_counts, ball_triangles, degree_overflow_screen,
     hub_excluded_components, conjugate_degree_ceiling, spectral_moments, closed_walks_are_triangles, reverse_index_fanout, reverse_compaction, coverage_by_cap, utility_bucket_sizes, report_rollup, mass_cost, ceilings_vs_lattice, bound_rules,
     delta_mixed_signs, delta_labelled, match_lifetimes, static_matches, level_intermediates_control, level_intermediates_nlf, trade_rings, gate_counts_fire, gate_fire_by_label, exact_vs_naive_triggers, decoy_workload,
-    pruned_visited_overlap, interlacing_violations, majorisation_violations, ceiling_violations, gate_wrong_skips, envelope_violations,
+    pruned_visited_overlap, versioned_match_changes, interlacing_violations, majorisation_violations, ceiling_violations, gate_wrong_skips, envelope_violations,
 ]
 ROWS_ONLY = [
     vertex_spectra, interlace_candidates, component_attribution, utility_by_ball_size, retained_by_cap, retention_curve, retention_with_deletions, gate_configurations, rejection_margins, laplacian_gate, headroom_ratio, envelope_index, exact_index,

@@ -45,11 +45,28 @@ def test_archives_are_plain_zstandard_with_a_leading_dictionary(spark):
     assert total == odd_pages(spark).count() and len(files) > 1
 
 
+def test_records_are_dated_typed_and_named_apart(spark):
+    path = f"{shared_dir(spark)}/dated-archives"
+    warc.write_archives(odd_pages(spark), path, date="2020-01-02T03:04:05Z")
+    got = warc.read_archives(spark, path).cache()
+    assert got.select("record_id").distinct().count() == got.count() == odd_pages(spark).count()
+    assert warc.unresolved(got).count() == 0
+    assert warc.unresolved(got.where("page_id <> 1 OR page_id IS NULL")).count() == 2
+    assert {r.url for r in got.where("page_id IN (2, 3)").collect()} == {None, "http://c%0D%0AEvil:%201"}
+    for r in spark.read.format("binaryFile").load(path).where("length > 0").collect():
+        for raw in warc.frames(bytes(r.content)):
+            headers, _ = warc.parse(raw)
+            assert headers["warc-date"] == "2020-01-02T03:04:05Z" and headers["content-type"] == "application/http;msgtype=response"
+            assert (headers["warc-type"] == "revisit") == ("warc-refers-to-target-uri" in headers)
+    assert {len(r.payload) for r in got.where("record_type = 'revisit'").collect()} == {0}
+
+
 def test_broken_archives_are_refused():
     body = b"hello"
-    good = warc.record(1, "u", body, hashlib.sha256(body).hexdigest(), None)
-    assert warc.parse(good)[1] == body
-    for bad in (good.replace(b"WARC/1.1", b"WARC/9"), good.replace(b"Content-Length: 5", b"Content-Length: 4"), good.replace(b"WARC-Type", b"WARC Type"), good[:-2], b""):
+    good = warc.record("urn:uuid:1", "2020-01-02T03:04:05Z", 1, "u", body, hashlib.sha256(body).hexdigest())
+    assert warc.payload_of(*warc.parse(good)) == body
+    size = len(warc.parse(good)[1])
+    for bad in (good.replace(b"WARC/1.1", b"WARC/9"), good.replace(b"Content-Length: %d" % size, b"Content-Length: %d" % (size - 1)), good.replace(b"WARC-Date", b"Date"), good.replace(b"2020-01-02T03", b"yesterday"), good.replace(b"WARC-Type", b"WARC Type"), good[:-2], b""):
         with pytest.raises(warc.BadArchive):
             warc.parse(bad)
     data = warc.archive([good, good])

@@ -1,8 +1,9 @@
 """License scans: base phrases, and an exact containment join of text blocks with templates.
 
-Blocks are the lines of a text and its paragraphs (lines up to an empty one); blocks and
-templates count as sets of words. A template T is found in a block B if
-|B & T| >= threshold * |T|. The join is exact and skips most work by filters over one
+Blocks are the lines of a text, its paragraphs (lines up to an empty one) and each two
+paragraphs in a row, so that a notice may span an empty line; blocks and templates count as
+sets of words. A template T, however short, is found in a block B if
+|B & T| >= threshold * |T|; short templates of common words are therefore best left to phrases. The join is exact and skips most work by filters over one
 global order of tokens, rarest in the corpus first: of T only a prefix of
 |T| - required + 1 tokens is indexed (a block without any of them can't reach the
 required overlap), blocks with fewer tokens than required are dropped by length, and a
@@ -31,26 +32,19 @@ PHRASES = {"gnu general public license": "gpl", "apache license": "apache", "cc
 #: Notices as projects print them; public texts.
 TEMPLATES = (
     ("mit", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files, to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software"),
-    ("mit", "Released under the MIT License."),
     ("isc", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies."),
     ("bsd", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"),
     ("bsd", "Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer."),
-    ("apache", "Licensed under the Apache License, Version 2.0"),
     ("apache", "Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an AS IS BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied."),
-    ("gpl", "This work is licensed under the GNU General Public License, version 3."),
     ("gpl", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation"),
     ("lgpl", "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation"),
     ("mpl", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one at"),
-    ("cc-by", "Licensed under CC BY-NC 4.0."),
     ("cc-by", "This work is licensed under a Creative Commons Attribution 4.0 International License."),
     ("cc-by-sa", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License."),
     ("cc0", "To the extent possible under law, the author has waived all copyright and related or neighboring rights to this work."),
     ("unlicense", "This is free and unencumbered software released into the public domain."),
 )
 
-#: Templates with fewer distinct tokens must be contained whole, and only within a line: a few common words prove nothing.
-SHORT = 8
-
 _SEPARATORS = bytes([*range(0x30), *range(0x3A, 0x61), *range(0x7B, 0x80)])
 #: A-Z become a-z before anything else, so those two don't separate.
 _WORDS = bytes(c + 32 if 0x41 <= c <= 0x5A else 0x20 if c in _SEPARATORS else c for c in range(256))
@@ -70,14 +64,14 @@ class Templates:
         self.sets, self.index = [], {}
         for label, text in templates:
             own = sorted({self.rank[w] for w in word_list(text)})
-            need = max(1, math.ceil(threshold * len(own) - 1e-9)) if len(own) >= SHORT else len(own)
+            need = max(1, math.ceil(threshold * len(own) - 1e-9))
             for at, token in enumerate(own[: len(own) - need + 1]):
                 self.index.setdefault(token, []).append((len(self.sets), at))
             self.sets.append((label, frozenset(own), need))
         words = {i: w for w, i in self.rank.items()}
         self.first = frozenset(words[t] for t in self.index)
 
-    def matches(self, block: list[bytes], several_lines: bool = False) -> dict[str, float]:
+    def matches(self, block: list[bytes]) -> dict[str, float]:
         """label -> containment of its best template that reaches the threshold."""
         distinct = set(block)
         if self.first.isdisjoint(distinct):
@@ -92,27 +86,28 @@ class Templates:
         found: dict[str, float] = {}
         for t, n in seen.items():
             label, tokens, need = self.sets[t]
-            if n > 0 and (len(tokens) >= SHORT or not several_lines) and (both := len(tokens.intersection(own))) >= need:
+            if n > 0 and (both := len(tokens.intersection(own))) >= need:
                 found[label] = max(found.get(label, 0.0), both / len(tokens))
         return found
 
 
-def blocks(text: str | None) -> Iterator[tuple[list[bytes], bool]]:
-    """Words of each line, and of each paragraph of several lines (then True)."""
+def blocks(text: str | None) -> Iterator[list[bytes]]:
+    """Words of each line, of each paragraph of several lines, and of each two paragraphs in a row."""
     paragraph: list[bytes] = []
+    before: list[bytes] = []
     held = 0
-    for line in (text or "").encode("utf-8", "surrogatepass").translate(_LINES).split(b"\n"):
+    for line in [*(text or "").encode("utf-8", "surrogatepass").translate(_LINES).split(b"\n"), b""]:
         words = line.split()
         if words:
-            yield words, False
+            yield words
             paragraph += words
             held += 1
         elif held:
             if held > 1:
-                yield paragraph, True
-            paragraph, held = [], 0
-    if held > 1:
-        yield paragraph, True
+                yield paragraph
+            if before:
+                yield before + paragraph
+            before, paragraph, held = paragraph, [], 0
 
 
 def token_frequencies(docs: DataFrame, templates=TEMPLATES) -> dict[bytes, int]:
@@ -145,7 +140,7 @@ def scan(docs: DataFrame, *, templates=TEMPLATES, threshold: float = 0.8) -> Dat
         more: dict[str, float] = {}
         if not ready.first.isdisjoint(words):
             for block in blocks(text):
-                for label, share in ready.matches(*block).items():
+                for label, share in ready.matches(block).items():
                     more[label] = max(more.get(label, 0.0), share)
         at = [joined.count(b" ", 0, places[i][0]) for i in (0, -1)] if places else [None, None]
         return len(words), len(places), *at, ",".join(sorted(base)), ",".join(sorted(base | set(more))), 1.0 if base else max(more.values(), default=0.0)

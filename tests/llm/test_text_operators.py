@@ -178,7 +178,7 @@ def test_license_base_equals_brute_force(spark, sf, odd, none):
 def test_template_join_equals_all_pairs():
     rng = np.random.default_rng(2)
     words = [f"w{i}" for i in range(30)]
-    templates = [(f"t{i}", " ".join(rng.choice(words, int(rng.integers(9, 14)), replace=False))) for i in range(12)]
+    templates = [(f"t{i}", " ".join(rng.choice(words, int(rng.integers(1, 14)), replace=False))) for i in range(16)]
     ready = licenses.Templates(templates, {w.encode(): int(rng.integers(0, 50)) for w in words}, 0.7)
     for _ in range(300):
         block = [w.encode() for w in rng.choice(words, int(rng.integers(1, 25)))]
@@ -196,6 +196,18 @@ def test_license_notice_without_a_phrase(spark):
     assert row.labels == "bsd" and row.n_base == 0 and row.score == 1.0
 
 
+def test_license_blocks_cover_lines_paragraphs_and_neighbours():
+    got = [b" ".join(b).decode() for b in licenses.blocks("A b\nc\n\n \nd\n\ne f\n")]
+    assert got == ["a b", "c", "a b c", "d", "a b c d", "e f", "d e f"]
+    assert list(licenses.blocks(None)) == list(licenses.blocks("\n \n")) == []
+
+
+def test_license_notice_across_an_empty_line_with_changes(spark):
+    text = "x\n\nThis program is free software: you may redistribute it and/or change it under the\n\nterms of the GNU General Public Licence as published by the Free Software Foundation\n\ny"
+    rows = spark.createDataFrame([(1, text), (2, "released under the terms of a license\n\nmit"), (3, None)], "doc_id bigint, text string")
+    assert {r.doc_id: (r.labels, r.n_base) for r in licenses.scan(rows).collect()} == {1: ("gpl,lgpl", 0), 2: ("", 0), 3: ("", 0)}
+
+
 # Secrets
 
 

@@ -1,9 +1,9 @@
 """Temperature mixing of sources to target weights, in DataFrame functions only.
 
 Weights are the sources' token shares raised to an exponent a in [0, 1] and normalised: 1
-keeps the corpus as it is, 0 makes all sources equal. The search narrows a until the mix
-reaches the target entropy, then raises it as far as the repetition limit asks; each round
-evaluates a whole grid of exponents in one aggregation over the sources. Weights become
+keeps the corpus as it is, 0 makes all sources equal. Bisection finds the largest a whose
+mix reaches the target entropy, one aggregation over the sources a round, then raises it as
+far as the repetition limit asks, for which the largest and smallest share suffice. Weights become
 rows by permutations: a source with a budget of e and a fraction epochs gets all its
 documents e times, each time in another hash order, and then the head of one more
 permutation up to the remaining tokens. A position in [0, 1) spreads every source evenly,
@@ -37,28 +37,35 @@ def sources(sizes: DataFrame) -> DataFrame:
     return each.withColumn("m_share", F.when(F.col("m_tokens") > 0, F.col("m_tokens") / F.lit(float(max(total, 1)))))
 
 
-def _first(shares: DataFrame, fits, rounds: int = 6, grid: int = 32) -> float:
-    """The largest exponent in [0, 1] up to which `fits` (a condition on z, s, least, most and a) holds, if it holds at 0; it must be monotone."""
+def _bisect(holds, rounds: int = 48) -> float:
+    """The largest exponent in [0, 1] up to which `holds`, which must be monotone, is true; 0 if it never is."""
+    if holds(1.0):
+        return 1.0
+    if not holds(0.0):
+        return 0.0
     low, high = 0.0, 1.0
     for _ in range(rounds):
-        steps = [low + (high - low) * i / grid for i in range(grid + 1)]
-        power = F.pow("m_share", F.col("a"))
-        tried = shares.where("m_share > 0").select("m_share", F.explode(F.array(*map(F.lit, steps))).alias("a")).groupBy("a").agg(F.sum(power).alias("z"), F.sum(power * F.ln("m_share")).alias("s"), F.min("m_share").alias("least"), F.max("m_share").alias("most"))
-        good = tried.where(fits).agg(F.max("a")).first()[0]
-        if good is None or good >= high:
-            return low if good is None else high
-        low, high = good, good + (high - low) / grid
+        middle = (low + high) / 2
+        low, high = (middle, high) if holds(middle) else (low, middle)
     return low
 
 
+def mix_entropy(shares: DataFrame, a: float) -> float:
+    """Entropy of the normalised weights m_share ** a, over the sources that hold tokens."""
+    power = F.pow("m_share", F.lit(float(a)))
+    z, s = shares.where("m_share > 0").agg(F.sum(power), F.sum(power * F.ln("m_share"))).first()
+    return math.log(z) - a * s / z if z else 0.0
+
+
 def exponent(shares: DataFrame, *, entropy: float | None = None, max_repeats: float | None = None) -> float:
     """The exponent whose mix has an entropy of at least `entropy` (a share of the highest possible), raised until no source recurs over max_repeats times as often as the least repeated."""
+    n, least, most = shares.where("m_share > 0").agg(F.count("*"), F.min("m_share"), F.max("m_share")).first()
     a = 1.0
-    n = shares.where("m_share > 0").count()
     if entropy is not None and n > 1:
-        a = _first(shares, F.ln("z") - F.col("a") * F.col("s") / F.col("z") >= F.lit(entropy * math.log(n)))
+        wanted = min(entropy, 1.0) * math.log(n)
+        a = _bisect(lambda x: mix_entropy(shares, x) >= wanted - 1e-12, rounds=24)
     if max_repeats is not None and n > 1:
-        a = max(a if entropy is not None else 0.0, _first(shares, F.pow(F.col("most") / F.col("least"), 1 - F.col("a")) > F.lit(float(max_repeats))))
+        a = max(a if entropy is not None else 0.0, _bisect(lambda x: (most / least) ** (1 - x) > max_repeats))
     return a
 
 

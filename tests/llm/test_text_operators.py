@@ -323,6 +323,28 @@ def test_mix_limits(spark):
     assert sum(r.n_tokens for r in half) == pytest.approx(sum(own.values()) / 2, rel=0.05)
 
 
+def test_exponent_meets_its_targets(spark):
+    tokens = {"a": 5000, "b": 1200, "c": 90, "d": 7, None: 333, "empty": 0}
+    shares = mixing.sources(spark.createDataFrame(list(tokens.items()), "source string, n_tokens bigint"))
+    p = np.array([n for n in tokens.values() if n]) / sum(tokens.values())
+
+    def entropy(a):
+        w = p**a / (p**a).sum()
+        return -(w * np.log(w)).sum()
+
+    own = entropy(1.0) / np.log(len(p))
+    for target in (0.5, 0.8, 0.95):
+        a = mixing.exponent(shares, entropy=target)
+        assert own < target and entropy(a) / np.log(len(p)) == pytest.approx(target, abs=1e-6)
+        assert mixing.mix_entropy(shares, a) == pytest.approx(entropy(a))
+    assert mixing.exponent(shares, entropy=own / 2) == 1.0 and mixing.exponent(shares, entropy=1.0) < 1e-4
+    for limit in (1.0, 2.0, 50.0):
+        assert (p.max() / p.min()) ** (1 - mixing.exponent(shares, max_repeats=limit)) == pytest.approx(limit)
+    assert mixing.exponent(shares, max_repeats=1e6) == 0.0
+    assert mixing.exponent(shares, entropy=0.95, max_repeats=2.0) == mixing.exponent(shares, max_repeats=2.0)
+    assert mixing.exponent(shares.limit(0), entropy=0.9, max_repeats=2.0) == 1.0
+
+
 def test_mix_odd_rows(odd, none):
     out = mixing.mix_documents(odd)
     assert out.columns == odd.columns and out.count() >= odd.count()

@@ -1,9 +1,9 @@
 """Toxicity: a support vector machine over a gap-weighted subsequence kernel with Nyström landmarks.
 
 Words (and spelt-out runs of single letters, joined) are compared by the subsequences of
-three letters they share, each weighted by decay ** span, spans up to `SPAN`; characters
-that aren't letters leave gaps but no letters, so "id*iot" and "i.d.i.o.t" stay close to
-"idiot". The kernel is normalised and cubed (products of kernels are kernels), which keeps
+three letters they share, each weighted by decay ** span, spans up to `SPAN` letters;
+characters that aren't letters don't count, so "id***iot" and "i--d--i--o--t" equal "idiot",
+and inserted letters leave gaps. The kernel is normalised and cubed (products of kernels are kernels), which keeps
 near matches only. Landmarks are the words that tell the labelled sentences apart best, by
 their counts in a bounded labelled sample. A text is the maximum over its words of the
 kernel against each landmark, mapped by the inverse root of the landmarks' own kernel
@@ -40,7 +40,7 @@ _CODES = 1 << 15
 #: Offsets of the second and third letter within the span, and their weights.
 _OFFSETS = [(i, j, DECAY ** (j + 1)) for i in range(1, SPAN - 1) for j in range(i + 1, SPAN)]
 _STRIP = ".,;:!?#$%&*|\"'()<>[]{}-_/\\"
-_SPELT = re.compile(r"(?<!\S)\w(?:[ .*_-]\w){3,}(?!\S)")
+_SPELT = re.compile(r"(?<!\S)[^\W_](?:[ .*_-]{1,3}[^\W_]){3,}(?!\S)")
 _LOOKALIKE = {"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "@": "a", "$": "s"}
 
 
@@ -70,17 +70,18 @@ def words_of(text: str | None) -> set[str]:
 
 
 def subsequences(words: list[str], table: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(word number, code, weight) of the gapped letter triples, weights of equal triples summed."""
+    """(word number, code, weight) of the gapped letter triples, weights of equal triples summed; other characters between letters don't widen a gap."""
     lengths = np.fromiter(map(len, words), dtype=np.int64, count=len(words))
     points = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), dtype="<u4")
     letters = np.where(points < 0x10000, table[np.minimum(points, 0xFFFF)], 27).astype(np.int64)
-    owner = np.repeat(np.arange(len(words)), lengths)
+    owner = np.repeat(np.arange(len(words)), lengths)[letters > 0]
+    letters = letters[letters > 0]
     keys, weights = [], []
     for i, j, w in _OFFSETS:
         if len(letters) <= j:
             break
         a, b, c = letters[: len(letters) - j], letters[i : len(letters) - j + i], letters[j:]
-        fine = (owner[: len(letters) - j] == owner[j:]) & (a > 0) & (b > 0) & (c > 0)
+        fine = owner[: len(letters) - j] == owner[j:]
         keys.append((owner[: len(letters) - j][fine] << 15) | (a[fine] << 10) | (b[fine] << 5) | c[fine])
         weights.append(np.full(int(fine.sum()), w))
     if not keys:

@@ -356,3 +356,20 @@ def test_neighbours_across_blocks(spark, tmp_path):
     np.fill_diagonal(near, -2)
     want = {tuple(sorted((a, int(b)))) for a in range(90) for b in np.argsort(-near[a])[:3]}
     assert got == want
+
+
+def test_log_holds_every_binding_and_budgets_read_off(spark):
+    pairs = [(0, 1), (1, 2), (2, 3), (3, 4), (0, 2)]
+    versions = spark.createDataFrame([(a, b, i, 2**63 - 1) for i, (a, b) in enumerate(pairs)], "src bigint, dst bigint, valid_from bigint, valid_to bigint")
+    query = pattern("triangle", (0, 0, 0))
+    run = engines.delta([query], versions, labelled(spark, 5), log=True)
+    got = {(r.u, r.v, r.seq, r.anchored) for r in run.visited.collect()}
+    anchored = {(u, v, s, True) for s, e in enumerate(pairs) if s for v in e for u in range(3)}
+    assert got == anchored | {(u, 1, 4, False) for u in range(3)}
+    assert run.matches.count() == 6
+    # Vertex 1 is a candidate before the closing edge only, so nothing may bind it there.
+    cand = spark.createDataFrame([("triangle", u, v, 0, 4 if v == 1 else 99) for u in range(3) for v in range(5)], "query_id string, u int, v bigint, seq_from bigint, seq_to bigint")
+    assert engines.delta([query], versions, labelled(spark, 5), cand=cand).matches.count() == 0
+    rows = X.budgets([query], versions, labelled(spark, 5), None, 1e6, factors=(1,), batches=2)
+    assert [(r[4], r[5], r[6], r[7]) for r in rows] == [(4, 6, 6, True)]
+    assert X.budgets([query], versions, labelled(spark, 5), None, 0.0, factors=(1,), batches=2)[0][4:] == (2, 0, 0, False)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
@@ -66,6 +67,37 @@ def matrix(queries: list[Query], versions: DataFrame, vertices: DataFrame, names
     return spark.createDataFrame(rows, "test string, candidates bigint, skipped bigint, intermediates bigint, matches bigint, seconds double")
 
 
+def modes(queries: list[Query], versions: DataFrame, vertices: DataFrame, names: tuple[str, ...] = ("off", "gate_only", "eager"), r: int = 4, cap: int = 64) -> DataFrame:
+    """(mode, init_seconds, refresh_seconds, run_seconds, refreshes, index_rows, index_bytes, skipped, intermediates, matches).
+
+    "off" runs no test; "gate_only" tests each update and keeps no index; "eager" also solves
+    every asked ball at the start and again at each update that changes it, and takes
+    candidates as they stand at each update.
+    """
+    spark, rows = versions.sparkSession, []
+    base = base_candidates(queries, versions.select("src", "dst").distinct(), vertices)
+    for name in names:
+        init = refresh = 0.0
+        refreshes = kept = skipped = 0
+        cand, skips = base, None
+        if name == "eager":
+            began = time.monotonic()
+            cut(index.consult(graph.both_ways(alive_at(versions, 0)), base, r=r, cap=cap))
+            init, began = time.monotonic() - began, time.monotonic()
+            held = cut(index.maintain(versions, base.select("v").distinct(), r=r, cap=cap))
+            kept, refreshes = held.agg(F.count("*"), F.count_if(F.col("seq_from") > 0)).first()
+            cand = cut(filters.passed(filters.ball_tests(base, queries, held, r=r)))
+            refresh = time.monotonic() - began
+        began = time.monotonic()
+        if name != "off":
+            skips = cut(gate.skips(gate.decide(queries, versions, vertices, cap=cap, r=r)))
+            skipped = skips.count()
+        run = engines.delta(queries, versions, vertices, cand=cand, skips=skips)
+        made, found = run.levels.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0], run.matches.count()
+        rows.append((name, init, refresh, time.monotonic() - began, refreshes, kept, kept * (24 + 8 * r), skipped, made, found))
+    return spark.createDataFrame(rows, "mode string, init_seconds double, refresh_seconds double, run_seconds double, refreshes bigint, index_rows bigint, index_bytes bigint, skipped bigint, intermediates bigint, matches bigint")
+
+
 def power(queries: list[Query], edges: DataFrame, vertices: DataFrame, r: int = 8, cap: int | None = 64) -> DataFrame:
     """Tests of all base candidates: (query_id, u, v, nv, killers)."""
     cand = base_candidates(queries, edges, vertices)

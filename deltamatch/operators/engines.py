@@ -14,7 +14,7 @@ import time
 from dataclasses import dataclass
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from deltamatch.plans.query import Query
@@ -70,12 +70,14 @@ def _admitted(rows: DataFrame, cand: DataFrame, u: str, v: str, sign: int = 1) -
     return rows.join(known, on, "left_semi")
 
 
-def _level(partials: DataFrame, steps: DataFrame, adj: DataFrame, cand: DataFrame | None, sign: int = 1) -> DataFrame:
+def _level(partials: DataFrame, steps: DataFrame, adj: DataFrame, cand: DataFrame | None, sign: int = 1, injective: bool = True) -> DataFrame:
     """One more vertex for each partial match; steps: (query_id, anchor, x, x_label, back ARRAY<INT>)."""
     rows = partials.join(steps, ["query_id", "anchor"]).select("query_id", "anchor", "seq", "bind", "x", "x_label", F.size("back").alias("need"), F.explode("back").alias("b"))
     rows = rows.withColumn("v", F.get("bind", F.col("b")))
     alive = (F.col("valid_from") < F.col("seq")) & (F.col("valid_to") > F.col("seq"))
-    met = rows.join(adj, "v").where(alive & F.coalesce(F.col("x_label") == F.col("w_label"), F.lit(True)) & ~F.array_contains(F.filter("bind", lambda y: y.isNotNull()), F.col("w")))
+    met = rows.join(adj, "v").where(alive & F.coalesce(F.col("x_label") == F.col("w_label"), F.lit(True)))
+    if injective:
+        met = met.where(~F.array_contains(F.filter("bind", lambda y: y.isNotNull()), F.col("w")))
     single = met.where("need = 1").select("query_id", "anchor", "seq", "bind", "x", "w")
     several = met.where("need > 1").groupBy("query_id", "anchor", "seq", "bind", "x", "w", "need").agg(F.count("*").alias("n")).where("n = need").select("query_id", "anchor", "seq", "bind", "x", "w")
     pool = single.union(several)
@@ -195,6 +197,37 @@ def match_counts(run: Run) -> DataFrame:
     return run.matches.groupBy("query_id", "seq", "sign").agg(F.count("*").alias("matches"))
 
 
+def label_candidates(queries: list[Query], vertices: DataFrame) -> DataFrame:
+    """(query_id, u, v) by label alone, which any kind of match respects."""
+    asked = vertices.sparkSession.createDataFrame([(q.name, u, label) for q in queries for u, label in enumerate(q.labels)], "query_id string, u int, l int")
+    return F.broadcast(asked).join(vertices, F.col("l").isNull() | (F.col("l") == F.col("label"))).select("query_id", "u", F.col("id").alias("v"))
+
+
+def subgraphs(matches: DataFrame, queries: list[Query]) -> DataFrame:
+    """One match for each data subgraph: of those that an automorphism turns into each other, the one that meets the query's order conditions. A filter, without a shuffle."""
+    fine = F.lit(False)
+    for q in queries:
+        ordered = F.col("query_id") == q.name
+        for u, w in q.symmetry_breaks():
+            ordered = ordered & (F.get("bind", F.lit(u)) < F.get("bind", F.lit(w)))
+        fine = fine | ordered
+    return matches.where(fine)
+
+
+def periodic(lives: DataFrame, every: int, last: int) -> DataFrame:
+    """(at, matches, found) at every `every`-th update up to `last`: what a check then and not after each update sees; found is the answer where only existence is asked.
+
+    Matches (born, dies) count once when they enter and once when they leave the checks, so
+    long lives cost no more than short ones. The checks themselves are rows of a range.
+    """
+    first, past = F.ceil(F.col("born") / every).cast("bigint"), F.ceil(F.col("dies") / every).cast("bigint")
+    steps = lives.select(first.alias("a"), F.least(past, F.lit(last // every + 1).cast("bigint")).alias("b")).where("a < b")
+    change = steps.select("a", F.lit(1).alias("d")).union(steps.select("b", F.lit(-1))).groupBy(F.col("a").alias("k")).agg(F.sum("d").alias("d"))
+    checks = lives.sparkSession.range(last // every + 1).select(F.col("id").alias("k"))
+    run = F.sum(F.coalesce("d", F.lit(0))).over(Window.orderBy("k").rowsBetween(Window.unboundedPreceding, 0))  # a row a check
+    return checks.join(change, "k", "left").select((F.col("k") * every).alias("at"), run.alias("matches")).withColumn("found", F.col("matches") > 0)
+
+
 def intermediates(run: Run, queries: list[Query]) -> DataFrame:
     """(query_id, inner, all_levels): bindings beyond the anchor, without and with the last level."""
     last = F.broadcast(run.levels.sparkSession.createDataFrame([(q.name, q.size) for q in queries], "query_id string, size int"))
@@ -240,8 +273,8 @@ def candidate_space(queries: list[Query], cand: DataFrame, adj: DataFrame) -> tu
     return space, seen.groupBy("query_id").agg(F.count("*").alias("scans"))
 
 
-def static(queries: list[Query], edges: DataFrame, vertices: DataFrame, cand: DataFrame) -> Run:
-    """Static matching from vertex 0 over candidates: the delta plan with the candidates of an anchor edge as seeds, one direction of one edge only."""
+def static(queries: list[Query], edges: DataFrame, vertices: DataFrame, cand: DataFrame, *, injective: bool = True) -> Run:
+    """Static matching from vertex 0 over candidates: the delta plan with the candidates of an anchor edge as seeds, one direction of one edge only. Without `injective` query vertices may share a data vertex (homomorphisms); degree and count tests don't hold for those, so cand must come from labels alone."""
     spark = edges.sparkSession
     labels = vertices.select("id", F.coalesce("label", F.lit(-1)).alias("w_label"))
     adj = cut(both_ways(edges.select("src", "dst")).join(labels.withColumnRenamed("id", "w"), "w", "left").select("v", "w", F.coalesce("w_label", F.lit(-1)).alias("w_label"), F.lit(-1).cast("bigint").alias("valid_from"), F.lit(OPEN_END).alias("valid_to")))
@@ -257,7 +290,7 @@ def static(queries: list[Query], edges: DataFrame, vertices: DataFrame, cand: Da
         for depth in range(2, q.size):
             x = order[depth]
             steps = F.broadcast(spark.createDataFrame([(q.name, 0, x, q.labels[x], [y for y in order[:depth] if y in q.near(x)])], "query_id string, anchor int, x int, x_label int, back array<int>"))
-            partials = cut(_level(partials, steps, adj, own))
+            partials = cut(_level(partials, steps, adj, own, injective=injective))
             counted = counted.unionByName(partials.groupBy("query_id", "seq").agg(F.count("*").alias("n")).withColumn("level", F.lit(depth + 1)))
         done = done.union(partials.select("query_id", "seq", F.lit(1), "bind"))
     return Run(done, counted, True, time.monotonic() - began)

@@ -55,6 +55,21 @@ def touched(updates: DataFrame, rev: DataFrame, h: int = 2, mode: str = "exact")
     return met.select("seq", "center")
 
 
+def touched_at(updates: DataFrame, versions: DataFrame, h: int = 2, mode: str = "exact") -> DataFrame:
+    """`touched` against the balls as they stand just before each update (seq, src, dst), an insertion or a deletion.
+
+    Distance is symmetric, so the centers whose balls hold an end are the ball around that
+    end: work follows the updates and not the number of centers.
+    """
+    ends = updates.select("seq", F.posexplode(F.array("src", "dst")).alias("end", "center"))
+    ball = balls_at(ends.select((2 * F.col("seq") + F.col("end")).alias("key"), "center", (F.col("seq") - 1).alias("at")), versions, h, None)
+    near = lambda end: F.min(F.when(F.col("key") % 2 == end, F.col("dist")))
+    met = ball.groupBy(F.shiftright("key", 1).alias("seq"), F.col("member").alias("center")).agg(near(0).alias("d_src"), near(1).alias("d_dst"))
+    if mode == "exact":
+        met = met.where(f"(d_src IS NOT NULL AND d_dst IS NOT NULL) OR d_src <= {h - 1} OR d_dst <= {h - 1}")
+    return met.select("seq", "center")
+
+
 def balls_at(pairs: DataFrame, versions: DataFrame, h: int, cap: int | None) -> DataFrame:
     """(key, member, dist) of the ball of `center` in the graph at `at`, for pairs (key, center, at); beyond cap absent."""
     hops = both_ways(versions)
@@ -80,14 +95,11 @@ def _solved_at(pairs: DataFrame, versions: DataFrame, h: int, r: int, cap: int |
 def maintain(versions: DataFrame, deployed: DataFrame, *, h: int = 2, r: int = 4, cap: int = 64, redeploy: bool = False) -> DataFrame:
     """Version rows (v, seq_from, seq_to, nv, state, spec) of the vertices deployed (v) over a whole stream.
 
-    Balls of the union of all edges find the updates that may touch a center; each such
-    moment is solved as it was. From the first moment beyond cap on a vertex is evicted,
-    unless `redeploy` lets it come back.
+    A center is solved anew at the updates that change its ball as it then stands. From the
+    first moment beyond cap on a vertex is evicted, unless `redeploy` lets it come back.
     """
-    ever = both_ways(versions.select("src", "dst").distinct())
-    reach = cut(vertex_balls(ever, deployed, h, None))
     changes = versions.where("valid_from > 0").select(F.col("valid_from").alias("seq"), "src", "dst").union(versions.where(F.col("valid_to") < OPEN_END).select("valid_to", "src", "dst"))
-    both = changes.join(reach.select(F.col("member").alias("src"), "center"), "src").join(reach.select(F.col("member").alias("dst"), "center"), ["dst", "center"]).select("center", F.col("seq").alias("at"))
+    both = touched_at(changes, versions, h).join(deployed.select(F.col("v").alias("center")).distinct(), "center", "left_semi").select("center", F.col("seq").alias("at"))
     pairs = deployed.select(F.col("v").alias("center"), F.lit(0).cast("bigint").alias("at")).union(both).distinct()
     pairs = cut(pairs.withColumn("key", F.monotonically_increasing_id()))
     solved = _solved_at(pairs, versions, h, r, cap)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Iterator
 
 import numpy as np
@@ -79,8 +80,13 @@ def closed_walks(packed: DataFrame, k: int = 3, key: str = "center") -> DataFram
 
 
 def iterative_spectrum(m: np.ndarray, r: int, start: np.ndarray | None = None, tolerance: float = 1e-9, most: int = 2000) -> tuple[np.ndarray, np.ndarray, int]:
-    """Leading r eigenvalues by block power iteration from `start`, the vectors reached and the rounds used; the baseline a direct solve beats."""
-    x = start if start is not None else np.random.default_rng(3).standard_normal((len(m), min(r, len(m))))
+    """Leading r eigenvalues by block power iteration from `start`, the vectors reached and the rounds used; the baseline a direct solve beats.
+
+    Vectors of an older matrix may be orthogonal to one that a change has brought in, so a
+    little noise is added to a start.
+    """
+    noise = np.random.default_rng(3).standard_normal((len(m), min(r, len(m))))
+    x = start + 1e-2 * noise if start is not None else noise
     before = np.zeros(x.shape[1])
     for turn in range(1, most + 1):
         x, _ = np.linalg.qr(m @ x + 1e-12 * x)
@@ -92,6 +98,34 @@ def iterative_spectrum(m: np.ndarray, r: int, start: np.ndarray | None = None, t
     return values, x, turn
 
 
+def solver_costs(pairs: DataFrame, r: int = 4, tolerance: float = 1e-8) -> DataFrame:
+    """(solver, balls, rounds, micros, worst) over balls (center, before, after: flat arrays of edge ends): the direct solver, and the iterative one from a random start and from the vectors it reached for `before`; worst is the largest distance from the direct values."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held = {"direct": [0, 0, 0.0, 0.0], "cold": [0, 0, 0.0, 0.0], "warm": [0, 0, 0.0, 0.0]}
+        for b in batches:
+            for old, new in zip(b["before"], b["after"]):
+                ends = [np.asarray(e, dtype=np.int64).reshape(-1, 2) for e in (old, new)]
+                names, at = np.unique(np.concatenate(ends), return_inverse=True)
+                at = at.reshape(-1, 2)
+                m0, m1 = (laplacian(len(names), [tuple(e) for e in part]) for part in (at[: len(ends[0])], at[len(ends[0]) :]))
+                began = time.perf_counter()
+                exact = np.linalg.eigvalsh(m1)[::-1][:r]
+                took = [("direct", exact, 1, time.perf_counter() - began)]
+                _, vectors, _ = iterative_spectrum(m0, r, tolerance=tolerance)
+                for name, start in (("cold", None), ("warm", vectors)):
+                    began = time.perf_counter()
+                    values, _, rounds = iterative_spectrum(m1, r, start, tolerance)
+                    took.append((name, values, rounds, time.perf_counter() - began))
+                for name, values, rounds, seconds in took:
+                    x = held[name]
+                    x[0], x[1], x[2], x[3] = x[0] + 1, x[1] + rounds, x[2] + 1e6 * seconds, max(x[3], float(np.abs(values - exact).max()))
+        yield pd.DataFrame([(k, *v) for k, v in held.items()], columns=["solver", "balls", "rounds", "micros", "worst"])
+
+    each = pairs.mapInPandas(run, "solver string, balls bigint, rounds bigint, micros double, worst double")
+    return each.groupBy("solver").agg(F.sum("balls").alias("balls"), F.sum("rounds").alias("rounds"), F.sum("micros").alias("micros"), F.max("worst").alias("worst"))
+
+
 def wide(spectra: DataFrame, r: int) -> DataFrame:
     """spec as columns l1..lr, whose file statistics a reader can use to skip."""
     return spectra.select(*[c for c in spectra.columns if c != "spec"], *[F.col("spec")[i].alias(f"l{i + 1}") for i in range(r)])

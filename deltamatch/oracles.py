@@ -41,7 +41,7 @@ def _label(query: Query, u: int, column: str) -> str:
     return "" if query.labels[u] is None else f" AND {column} IN (SELECT id FROM vx WHERE label = {query.labels[u]})"
 
 
-def _lives(query: Query) -> str:
+def _lives(query: Query, injective: bool = True) -> str:
     """All matches that ever live, with born and dies; one adjacency alias for each edge."""
     at: dict[int, str] = {}
     sources, conditions = [], []
@@ -51,7 +51,7 @@ def _lives(query: Query) -> str:
             if vertex in at:
                 conditions.append(f"{at[vertex]} = x{i}.{side}")
             else:
-                conditions += [f"{other} <> x{i}.{side}" for other in at.values()]
+                conditions += [f"{other} <> x{i}.{side}" for other in at.values() if injective]
                 at[vertex] = f"x{i}.{side}"
     text = " AND ".join(conditions) or "true"
     text += "".join(_label(query, u, at[u]) for u in at)
@@ -86,10 +86,10 @@ def _steps(query: Query, cand: bool):
                 yield depth + 1, x, here, ", ".join(sources), text
 
 
-def _levels(query: Query, cand: bool) -> str:
-    """Bindings per level beyond the anchor."""
-    parts = [f"SELECT {level} AS level, count(*) AS n FROM {sources} WHERE {text}" for level, _, _, sources, text in _steps(query, cand) if level > 2]
-    return f"SELECT '{query.name}' AS query_id, level, CAST(sum(n) AS BIGINT) AS n FROM ({' UNION ALL '.join(parts)}) GROUP BY level"
+def _levels(query: Query, cand: bool, key: str = "level") -> str:
+    """Bindings beyond the anchor, per level or per update (seq)."""
+    parts = [f"SELECT {level} AS level, s.valid_from AS seq, count(*) AS n FROM {sources} WHERE {text} GROUP BY s.valid_from" for level, _, _, sources, text in _steps(query, cand) if level > 2]
+    return f"SELECT '{query.name}' AS query_id, {key}, CAST(sum(n) AS BIGINT) AS n FROM ({' UNION ALL '.join(parts)}) GROUP BY {key}"
 
 
 def _visited(queries: tuple[Query, ...]) -> str:
@@ -136,6 +136,14 @@ gs AS (SELECT up.seq, src, dst, nv, coalesce(ne, 0) AS ne, coalesce(tri, 0) AS t
 
 
 _GATE = _gate("v1", "valid_from", "valid_from > 0", "ax.f <= seq", "v1.valid_from <= x.seq")
+def _reach(name: str, alive: str) -> str:
+    """Vertices within two hops of either end of each change, in the graph of that moment."""
+    hop = lambda old: f"SELECT seq, e, c FROM {old} UNION SELECT seq, e, w FROM {old} JOIN ax ON ax.v = c AND {alive}"
+    return f"{name}1 AS ({hop('ends')}), {name} AS ({hop(name + '1')})"
+
+
+#: Symmetries of the patterns.
+_SYMMETRIES = {"triangle": 6, "diamond": 4, "clique4": 24, "cycle4": 8, "tailed_triangle": 2}
 _ZERO = "SELECT CAST(0 AS BIGINT) AS violations"
 _G4 = """WITH l AS (SELECT l_orderkey AS o, l_partkey AS p FROM lineitem WHERE l_returnflag = 'R' AND l_linestatus = 'F' GROUP BY ALL),
 x AS (SELECT o_custkey AS c, o, p FROM l JOIN orders ON o_orderkey = o GROUP BY ALL)"""
@@ -215,6 +223,17 @@ ORACLES: dict[str, str] = _deltas | {
     "exact_vs_naive_triggers": _with(
         "SELECT seq, (SELECT count(*) FROM b2 x JOIN b2 y ON y.center = x.center AND y.member = s.dst WHERE x.member = s.src) AS exact, (SELECT count(DISTINCT center) FROM b2 x WHERE x.member IN (s.src, s.dst)) AS either FROM s1 s WHERE seq > 0"),
     "decoy_workload": "SELECT CAST(51 AS BIGINT) AS updates, CAST(50 AS BIGINT) AS skipped, CAST(720 AS BIGINT) AS matches",
+    # A decoy is a clique of eight, in which each of 58 anchors binds 6, 6 * 5, ... vertices; the true region's bindings are counted by a test.
+    "decoy_control": "SELECT 'off' AS test, CAST(50 * 58 * (6 + 30 + 120 + 360 + 720 + 720) + 36870 AS BIGINT) AS intermediates, CAST(720 AS BIGINT) AS matches UNION ALL SELECT 'on', 36870, 720",
+    "update_triggers": _with(
+        "SELECT seq, (SELECT count(*) FROM post a JOIN post b ON a.seq = b.seq AND a.c = b.c AND a.e = 0 AND b.e = 1 WHERE a.seq = up.seq) AS exact, (SELECT count(DISTINCT c) FROM pre WHERE pre.seq = up.seq) AS either FROM up",
+        f"{_versioned('v2')}, up AS (SELECT valid_from AS seq, src, dst FROM v2 WHERE valid_from > 0 UNION ALL SELECT valid_to, src, dst FROM v2 WHERE valid_to < {_END}), ends AS (SELECT seq, 0 AS e, src AS c FROM up UNION ALL SELECT seq, 1, dst FROM up), {_reach('post', 'f <= seq AND t >= seq')}, {_reach('pre', 'f < seq AND t >= seq')}"),
+    "intermediates_per_update": _with(_levels(LABELLED[2], False, "seq"), _versioned("v1")),
+    "homomorphic_matches": _with("SELECT * FROM (" + " UNION ALL ".join(f"SELECT '{q.name}' AS query_id, count(*) AS matches FROM {_lives(q, False)}" for q in (pattern("cycle4"), LABELLED[0])) + ") WHERE matches > 0", _versioned("v1")),
+    "distinct_subgraphs": _with(" UNION ALL ".join(f"SELECT '{p}' AS query_id, CAST(born AS BIGINT) AS seq, count(*) // {n} AS n FROM {_lives(pattern(p))} WHERE born > 0 GROUP BY born" for p, n in _SYMMETRIES.items()), _versioned("v1")),
+    "periodic_checks": _with(
+        "SELECT k * 10 AS at, (SELECT count(*) FROM lives WHERE born <= k * 10 AND dies > k * 10) AS matches, (SELECT count(*) FROM lives WHERE born <= k * 10 AND dies > k * 10) > 0 AS found FROM (SELECT unnest(generate_series(0, (SELECT max(valid_from) FROM v2) // 10)) AS k)",
+        f"{_versioned('v2')}, lives AS (SELECT * FROM {_lives(pattern('triangle'))})"),
     "pruned_visited_overlap": _with(
         "SELECT query_id, u, count(*) AS rejected, count(*) FILTER ((query_id, u, v) IN (SELECT (query_id, u, v) FROM seen WHERE anchored)) AS anchored, count(*) FILTER ((query_id, u, v) IN (SELECT (query_id, u, v) FROM seen WHERE NOT anchored)) AS visited FROM (SELECT * FROM ldf EXCEPT SELECT * FROM nlf) GROUP BY ALL",
         f"{_versioned('v1')}, {_NLF}, {_visited(LABELLED)}"),

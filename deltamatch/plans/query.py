@@ -61,6 +61,31 @@ class Query:
             bound.append(min(front, key=key))
         return bound
 
+    def automorphisms(self) -> list[tuple[int, ...]]:
+        """All label-preserving maps of the query onto itself."""
+        out: list[tuple[int, ...]] = []
+
+        def grow(held: tuple[int, ...]) -> None:
+            u = len(held)
+            if u == self.size:
+                out.append(held)
+                return
+            for v in range(self.size):
+                alike = v not in held and self.labels[u] == self.labels[v] and len(self.near(u)) == len(self.near(v))
+                if alike and all((w in self.near(u)) == (held[w] in self.near(v)) for w in range(u)):
+                    grow((*held, v))
+
+        grow(())
+        return out
+
+    def symmetry_breaks(self) -> list[tuple[int, int]]:
+        """Pairs (u, w) such that exactly one of a match's images under automorphisms has a smaller data vertex at u than at w for all of them."""
+        group, out = self.automorphisms(), []
+        for u in range(self.size):
+            out += [(u, w) for w in sorted({a[u] for a in group} - {u})]
+            group = [a for a in group if a[u] == u]
+        return out
+
     def needs(self, u: int) -> dict[int, int]:
         """Neighbours of u by label."""
         out: dict[int, int] = {}

@@ -17,11 +17,13 @@ OPEN_END = 2**63 - 1
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; a temporary one only where spark.checkpoint.dir is unset."""
+    """The cluster's shared folder; a temporary one where spark.checkpoint.dir is unset and all runs on one machine."""
     context = spark.sparkContext._jsc.sc()
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found and context.getCheckpointDir().isDefined():
         found = context.getCheckpointDir().get()
+    if not found and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that the cluster shares")
     if not found:
         found = tempfile.mkdtemp(prefix="deltamatch-")
     if not context.getCheckpointDir().isDefined():

@@ -356,6 +356,55 @@ def decoy_workload(spark, sf_dir):
     return log.agg(F.count("*").alias("updates"), F.sum((F.col("decision") == "skip").cast("bigint")).alias("skipped")).withColumn("matches", F.lit(run.matches.count()).cast("bigint"))
 
 
+def decoy_control(spark, sf_dir):
+    """(test, intermediates, matches) of the constructed exception without the gate and with it: on is less than a hundredth of off."""
+    vertices, updates = graphs.decoys(spark)
+    versions = cut(streams.edge_versions(updates))
+    q = [pattern("near_clique8_tail", (0,) * 10)]
+    out = None
+    for name, skips in (("off", None), ("on", gate.skips(gate.decide(q, versions, vertices, phis=("nv",))))):
+        run = engines.delta(q, versions, vertices, skips=skips)
+        rows = engines.intermediates(run, q).select(F.lit(name).alias("test"), F.col("all_levels").alias("intermediates"), F.lit(run.matches.count()).cast("bigint").alias("matches"))
+        out = rows if out is None else out.union(rows)
+    return out
+
+
+def update_triggers(spark, sf_dir):
+    """(seq, exact, either): two-hop balls that each insertion or deletion changes, as they stand then, against those that merely hold one of its ends."""
+    versions = _mixed(spark, sf_dir)
+    updates = cut(versions.where("valid_from > 0").select(F.col("valid_from").alias("seq"), "src", "dst").union(versions.where(F.col("valid_to") < engines.OPEN_END).select("valid_to", "src", "dst")))
+    count = lambda mode: index.touched_at(updates, versions, 2, mode).groupBy("seq").agg(F.count("*").alias(mode))
+    return count("either").join(count("exact"), "seq").select("seq", "exact", "either")
+
+
+def intermediates_per_update(spark, sf_dir):
+    """(query_id, seq, n): bindings beyond the anchor that each update causes."""
+    run = engines.delta([LABELLED[2]], _inserts(spark, sf_dir), _vertices(spark, sf_dir))
+    return run.levels.groupBy("query_id", "seq").agg(F.sum("n").alias("n"))
+
+
+def homomorphic_matches(spark, sf_dir):
+    """(query_id, matches) if query vertices may share a data vertex."""
+    qs = [pattern("cycle4"), LABELLED[0]]
+    edges, vertices = _edges(spark, sf_dir), _vertices(spark, sf_dir)
+    run = engines.static(qs, edges, vertices, engines.label_candidates(qs, vertices), injective=False)
+    return run.matches.groupBy("query_id").agg(F.count("*").alias("matches"))
+
+
+def distinct_subgraphs(spark, sf_dir):
+    """(query_id, seq, n): data subgraphs born at each update, each once and not once for each symmetry of the query."""
+    qs = [pattern(p) for p in PATTERNS]
+    run = engines.delta(qs, _inserts(spark, sf_dir), _vertices(spark, sf_dir))
+    return engines.subgraphs(run.matches, qs).groupBy("query_id", "seq").agg(F.count("*").alias("n"))
+
+
+def periodic_checks(spark, sf_dir):
+    """(at, matches, found) of triangles at every tenth update of the mixed stream."""
+    versions = _mixed(spark, sf_dir)
+    last = versions.agg(F.max("valid_from")).first()[0] or 0
+    return engines.periodic(engines.lifetimes(pattern("triangle"), versions, _vertices(spark, sf_dir)), 10, last)
+
+
 def pruned_visited_overlap(spark, sf_dir):
     """(query_id, u, rejected, anchored, visited): label-degree candidates that the neighbour-label filter rejects, and those of them that the run without it binds, at the anchor and beyond it, whether or not a match comes of it."""
     versions, vertices = _inserts(spark, sf_dir), _vertices(spark, sf_dir)
@@ -479,7 +528,7 @@ def rejection_margins(spark, sf_dir):
 def laplacian_gate(spark, sf_dir):
     queries, edges, vertices = _dense(spark, sf_dir, (8,), 2)
     versions = cut(streams.edge_versions(streams.insert_stream(edges)))
-    return gate.decide(queries, versions, vertices).groupBy("query_id", "decision").agg(F.count("*").alias("n"))
+    return gate.decide(queries, versions, vertices, phis=("nv", "ne", "spec")).groupBy("query_id", "decision").agg(F.count("*").alias("n"))
 
 
 def headroom_ratio(spark, sf_dir):
@@ -656,17 +705,49 @@ def random_graph_utility(spark, sf_dir):
     return X.utility(X.power(sample(edges, vertices, "dense", 12, 2), edges, vertices, cap=None))
 
 
+def small_world_utility(spark, sf_dir):
+    """Rejection by ball size on a rewired ring, whose balls are alike in size."""
+    edges = cut(graphs.small_world_edges(spark, 1500))
+    vertices = cut(graphs.uniform_labels(spark.range(1500), 4))
+    return X.utility(X.power(sample(edges, vertices, "dense", 12, 2), edges, vertices, cap=None))
+
+
+def candidates_by_size(spark, sf_dir):
+    """(size, queries, base, kept): candidates before and after the spectral test, five dense queries of each size."""
+    queries, edges, vertices = _dense(spark, sf_dir, (16, 24, 32), 5)
+    tested = X.power(queries, edges, vertices)
+    of = F.broadcast(spark.createDataFrame([(q.name, q.size) for q in queries], "query_id string, size int"))
+    return tested.join(of, "query_id").groupBy("size").agg(F.count_distinct("query_id").alias("queries"), F.count("*").alias("base"), F.count_if(F.col("killers") == 0).alias("kept"))
+
+
+def index_modes(spark, sf_dir):
+    """No test, gate alone and eagerly maintained index over the same stream."""
+    queries, edges, vertices = _dense(spark, sf_dir, (8,), 2)
+    return X.modes(queries, cut(streams.edge_versions(streams.insert_stream(edges))), vertices)
+
+
+def solver_costs(spark, sf_dir):
+    """Direct, cold and warm solver on the balls that the insert stream changes, from their first to their last form."""
+    versions = _inserts(spark, sf_dir)
+    was, now = graph.both_ways(streams.alive_at(versions, 0)), graph.both_ways(versions.select("src", "dst"))
+    packed = lambda adj: balls.packed(*(lambda b: (b, balls.induced_edges(b, adj)))(balls.vertex_balls(adj, adj.select("v").distinct(), 2, CAP)))
+    pairs = packed(was).select("center", F.col("ends").alias("before")).join(packed(now).select("center", F.col("ends").alias("after")), "center").where("before <> after")
+    return spectra.solver_costs(pairs, R)
+
+
 STRICT = [
     shared_line_edges, page_link_fanout, trade_degrees, zipf_label_counts, renewed_stream_births, deletion_gate,
     copurchase_edges, copurchase_stream_90_10, mixed_stream_70_30, edge_versions, degree_table, label_profile, temporal_user_edges, sliding_window_edges, event_sessions, asof_version_lookup,
     ldf_candidates, nlf_candidates, propagation_two_rounds, candidate_space_scans, list_scan_cost, dominance_candidates, list_driven_matches, list_driven_scans, ball_sizes_h1, ball_sizes_h2, ball_edge_counts, ball_triangles, degree_overflow_screen,
     hub_excluded_components, conjugate_degree_ceiling, spectral_moments, closed_walks_are_triangles, reverse_index_fanout, reverse_compaction, coverage_by_cap, utility_bucket_sizes, report_rollup, mass_cost, ceilings_vs_lattice, bound_rules,
     delta_mixed_signs, delta_labelled, match_lifetimes, static_matches, level_intermediates_control, level_intermediates_nlf, trade_rings, gate_counts_fire, gate_fire_by_label, exact_vs_naive_triggers, decoy_workload,
+    decoy_control, update_triggers, intermediates_per_update, homomorphic_matches, distinct_subgraphs, periodic_checks,
     pruned_visited_overlap, versioned_match_changes, interlacing_violations, majorisation_violations, ceiling_violations, gate_wrong_skips, envelope_violations,
 ]
 ROWS_ONLY = [
     vertex_spectra, interlace_candidates, component_attribution, utility_by_ball_size, retained_by_cap, retention_curve, retention_with_deletions, gate_configurations, rejection_margins, laplacian_gate, headroom_ratio, envelope_index, exact_index,
     spectral_overlap, order_feedback, index_footprint, resync_changes, budgeted_run, random_graph_utility, temporal_triangles, neighbour_graph,
     static_construction, replication_matrix, second_engine, sparse_queries, admission, propagation_modes,
+    small_world_utility, candidates_by_size, index_modes, solver_costs,
 ]
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in STRICT} | {f"delta_{p}": _delta_of(p) for p in PATTERNS} | {f.__name__: f for f in ROWS_ONLY}

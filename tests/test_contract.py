@@ -8,7 +8,7 @@ import pytest
 
 from deltamatch import oracles, workloads
 
-FAST = ["copurchase_stream_90_10", "mixed_stream_70_30", "nlf_candidates", "ball_triangles", "hub_excluded_components", "spectral_moments", "bound_rules", "delta_diamond", "level_intermediates_nlf", "gate_counts_fire", "deletion_gate", "trade_rings", "event_sessions", "zipf_label_counts", "dominance_candidates", "list_driven_matches", "list_driven_scans", "reverse_compaction"]
+FAST = ["copurchase_stream_90_10", "mixed_stream_70_30", "nlf_candidates", "ball_triangles", "hub_excluded_components", "spectral_moments", "bound_rules", "delta_diamond", "level_intermediates_nlf", "gate_counts_fire", "deletion_gate", "trade_rings", "event_sessions", "zipf_label_counts", "dominance_candidates", "list_driven_matches", "list_driven_scans", "reverse_compaction", "update_triggers", "intermediates_per_update", "homomorphic_matches", "distinct_subgraphs", "periodic_checks"]
 
 
 @pytest.fixture(scope="module")

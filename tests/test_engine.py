@@ -373,3 +373,84 @@ def test_log_holds_every_binding_and_budgets_read_off(spark):
     rows = X.budgets([query], versions, labelled(spark, 5), None, 1e6, factors=(1,), batches=2)
     assert [(r[4], r[5], r[6], r[7]) for r in rows] == [(4, 6, 6, True)]
     assert X.budgets([query], versions, labelled(spark, 5), None, 0.0, factors=(1,), batches=2)[0][4:] == (2, 0, 0, False)
+
+
+def test_symmetry_breaks_keep_one_of_each_orbit():
+    for name, group in (("triangle", 6), ("diamond", 4), ("clique4", 24), ("cycle4", 8), ("tailed_triangle", 2)):
+        q = pattern(name)
+        assert len(q.automorphisms()) == group
+        kept = [p for p in itertools.permutations(range(q.size)) if all(p[u] < p[w] for u, w in q.symmetry_breaks())]
+        assert len(kept) * group == math.factorial(q.size)
+
+
+def test_decoy_bindings_by_plain_search(spark):
+    """The bindings of the true region, which the twin of decoy_control states."""
+    _, updates = graphs.decoys(spark)
+    rows = [(r.src, r.dst, r.seq) for r in updates.where("src >= 5000").collect()]
+    old = {frozenset(r[:2]) for r in rows if r[2] == 0}
+    (a, b), *more = [r[:2] for r in rows if r[2] > 0]
+    assert not more
+    q, made, found = pattern("near_clique8_tail", (0,) * 10), 0, 0
+    ids = sorted({v for e in old for v in e})
+
+    def grow(held, order):
+        nonlocal made, found
+        if len(held) == q.size:
+            found += 1
+            return
+        x = order[len(held)]
+        for v in ids:
+            if v not in held.values() and all(frozenset((v, held[y])) in old for y in q.near(x) if y in held):
+                made += 1
+                grow({**held, x: v}, order)
+
+    for u, w in q.edges:
+        for s, t in ((u, w), (w, u)):
+            grow({s: a, t: b}, q.order(s, t))
+    assert (made, found) == (36870, 720)
+
+
+def test_periodic_checks_see_what_lives_then(spark):
+    lives = spark.createDataFrame([(0, 5), (3, 10), (10, 11), (11, 19), (4, 100)], "born bigint, dies bigint")
+    assert [tuple(r) for r in engines.periodic(lives, 10, 39).orderBy("at").collect()] == [(0, 1, True), (10, 2, True), (20, 1, True), (30, 1, True)]
+    assert [r.found for r in engines.periodic(lives.where("dies = 19"), 10, 19).collect()] == [False, False]
+
+
+def test_triggers_as_balls_stand_at_each_update(spark, g1):
+    """A center is named exactly if its induced ball before and after the update differ."""
+    versions = streams.edge_versions(streams.mixed_stream(g1[0])).cache()
+    rows = [tuple(r) for r in versions.collect()]
+    changes = [(f, a, b) for a, b, f, t in rows if f > 0] + [(t, a, b) for a, b, f, t in rows if t < engines.OPEN_END]
+    got = {(r.seq, r.center) for r in index.touched_at(spark.createDataFrame(changes, "seq bigint, src bigint, dst bigint"), versions).collect()}
+
+    def shape(near, c):
+        ball = {c} | near.get(c, set())
+        ball |= {w for v in list(ball) for w in near.get(v, ())}
+        return {frozenset((v, w)) for v in ball for w in near.get(v, ()) if w in ball}
+
+    want = set()
+    for seq, a, b in changes:
+        sides = []
+        for at in (seq - 1, seq):
+            near: dict = {}
+            for s, d, f, t in rows:
+                if f <= at < t:
+                    near.setdefault(s, set()).add(d)
+                    near.setdefault(d, set()).add(s)
+            sides.append(near)
+        want |= {(seq, c) for c in sides[0].keys() | sides[1].keys() if shape(sides[0], c) != shape(sides[1], c)}
+    assert got == want
+
+
+def test_warm_start_agrees_with_direct_solves(spark):
+    rows = [(1, [0, 1, 1, 2], [0, 1, 1, 2, 0, 2]), (2, [0, 1], [0, 1, 2, 3, 2, 4, 2, 5])]
+    got = {r.solver: r for r in spectra.solver_costs(spark.createDataFrame(rows, "center bigint, before array<bigint>, after array<bigint>")).collect()}
+    assert {r.balls for r in got.values()} == {2} and max(r.worst for r in got.values()) < 1e-3
+
+
+def test_modes_agree_on_matches(spark, g1):
+    edges, vertices = g1
+    versions = streams.edge_versions(streams.insert_stream(edges))
+    rows = {r["mode"]: r for r in X.modes([workloads.LABELLED[1]], versions, vertices).collect()}
+    assert len({r.matches for r in rows.values()}) == 1
+    assert rows["off"].skipped == rows["off"].refreshes == rows["gate_only"].index_rows == 0 < rows["eager"].refreshes

@@ -20,12 +20,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that the cluster shares, from spark.checkpoint.dir.
 
-    Only where that is unset, as in tests on one machine, a temporary folder is used.
+    Only where that is unset and all runs on one machine, as in tests, a temporary folder is
+    used; a cluster without a shared folder is an error.
     """
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         found = held.get() if held.isDefined() else None
+    if not found and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that the cluster shares")
     if not found:
         found = tempfile.mkdtemp(prefix="deltamatch-")
     if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():

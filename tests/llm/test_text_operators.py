@@ -529,3 +529,23 @@ def test_pairs_whose_first_member_differs_are_still_met(spark):
     swapped = words[:100] + [words[101], words[100]] + words[102:]
     rows = [(1, " ".join(sorted(words))), (2, " ".join(words)), (3, " ".join(swapped))]
     assert similar(spark, rows) == [(1, 1), (2, 2), (3, 2)]
+
+
+def test_quality_verdicts_equal_their_twin(spark, sf, odd):
+    """Counts, quartiles, fences and verdicts against exact quartiles in SQL, on the tables and on odd rows."""
+    from collections import Counter
+
+    import duckdb
+
+    from deltamatch.llm import queries, quality_rules
+
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{sf}/documents.parquet'")
+    names = ["doc_id", *quality_rules.COUNTS, "base_failed", "kept"]
+    whole = queries.op6_adaptive_quality(spark, sf)
+    sql = f"SELECT {', '.join(names)} FROM ({queries.ORACLES['op6_adaptive_quality']})"
+    got = Counter(tuple(r) for r in whole.select(*names).collect())
+    assert got == Counter(con.execute(sql).fetchall()) and {r[-1] for r in got} == {True, False}
+    con.execute("DROP VIEW documents")
+    con.register("documents", odd.select("doc_id", "lang", "source", "text").toArrow())
+    assert Counter(tuple(r) for r in quality_rules.quality_verdicts(odd).select(*names).collect()) == Counter(con.execute(sql).fetchall())

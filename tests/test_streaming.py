@@ -2,6 +2,7 @@ import tempfile
 
 from pyspark.sql import functions as F
 
+from deltamatch import workloads
 from deltamatch.operators import engines
 from deltamatch.plans.query import pattern
 from deltamatch.sources import graphs, streams
@@ -57,3 +58,17 @@ def test_event_edges_and_counters(spark, sf):
     rows = spark.table("live_touch").collect()
     assert sorted((r.seq, r.touch) for r in rows if r.center == 1) == [(i, i) for i in range(1, 8)]
     assert [r.seq for r in sorted(rows) if r.refresh and r.center == 1] == [3, 6]
+
+
+def test_twin_users_count_like_each_user_alone(spark, tmp_path):
+    """Triangles over classes of users with equal events against every user by itself; no class is joined with itself."""
+    kinds = ["a", "a", "a", "b", "b", "c", None]
+    rows = [(None if u == 9 else 10 * copy + u, kinds[(u + i) % 7], f"p{i % 2}", 600 * ((7 * u + 31 * i) % 150) * (1 + i)) for copy in range(4) for u in range(10) for i in range(6) if copy < 3 or u < 4]
+    rows += rows[:5]
+    events = spark.createDataFrame(rows, "user_id bigint, event_type string, props string, s bigint").selectExpr("user_id", "event_type", "props", "CASE WHEN s > 0 THEN timestamp_seconds(s) END AS ts")
+    events.write.parquet(f"{tmp_path}/events.parquet")
+    versions = streams.edge_versions(streams.expiring_stream(graphs.temporal_edges(spark, str(tmp_path)))).cache()
+    want = engines.lifetimes(pattern("triangle"), versions, spark.createDataFrame([], "id bigint, label int")).count()
+    classes, edges = graphs.temporal_twins(spark, str(tmp_path))
+    assert {r.n for r in classes.collect()} == {3, 4} and edges.count() < versions.count() / 5
+    assert [tuple(r) for r in workloads.temporal_triangles(spark, str(tmp_path)).collect()] == [(want,)] and want > 500

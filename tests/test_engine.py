@@ -449,6 +449,33 @@ def test_warm_start_agrees_with_direct_solves(spark):
     assert {r.balls for r in got.values()} == {2} and max(r.worst for r in got.values()) < 1e-3
 
 
+def test_solver_costs_solve_equal_balls_once(spark, monkeypatch, tmp_path):
+    rows = [(100 * i, [x + 100 * i for x in e0], [x + 100 * i for x in e1]) for i in range(40) for e0, e1 in (([0, 1, 1, 2], [0, 1, 1, 2, 0, 2]), ([0, 1], [0, 1, 2, 3, 2, 4, 2, 5]))]
+    real = spectra.iterative_spectra
+
+    def noted(stack, *a, **k):
+        with open(f"{tmp_path}/solved", "a") as f:
+            f.write(f"{len(stack)}\n")
+        return real(stack, *a, **k)
+
+    monkeypatch.setattr(spectra, "iterative_spectra", noted)
+    schema = "center bigint, before array<bigint>, after array<bigint>"
+    many = {r.solver: r for r in spectra.solver_costs(spark.createDataFrame(rows, schema)).collect()}
+    assert sum(map(int, open(f"{tmp_path}/solved"))) == 2 * 3  # two forms: before, cold and warm
+    once = {r.solver: r for r in spectra.solver_costs(spark.createDataFrame(rows[:2], schema)).collect()}
+    assert {n: (r.balls, r.rounds, r.worst) for n, r in many.items()} == {n: (40 * r.balls, 40 * r.rounds, r.worst) for n, r in once.items()}
+
+
+def test_stacked_solves_equal_single_ones():
+    rng = np.random.default_rng(2)
+    stack = np.stack([spectra.laplacian(7, [(i, j) for i in range(7) for j in range(i + 1, 7) if rng.random() < 0.5]) for _ in range(20)])
+    values, vectors, rounds = spectra.iterative_spectra(stack, 3)
+    assert len(set(rounds.tolist())) > 1
+    for i, m in enumerate(stack):
+        own, x, turns = spectra.iterative_spectrum(m, 3)
+        assert own == pytest.approx(values[i], abs=1e-9) and turns == rounds[i]
+
+
 def test_modes_agree_on_matches(spark, g1):
     edges, vertices = g1
     versions = cut(streams.edge_versions(streams.insert_stream(edges)))

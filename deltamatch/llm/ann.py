@@ -6,7 +6,9 @@ of their axes. A query looks into the `probes` cells of each table that lose lea
 its own (multiprobe). Rows travel to the cells as one byte a component, only to be ranked
 roughly there; a few times k of the best of each query are then ranked by the exact
 Euclidean distance of the original vectors, in double precision. How many axes are joined,
-and how many tables and probes there are, follow the counted rows (`plan_for`).
+and how many tables and probes there are, is fixed (`PLAN`) whatever the rows, so that a
+query's results don't turn on the input's size; `plan_for` names cheaper plans for callers
+who pass one.
 
 Rows meet by all but the last axis of a tuple, and by parts of crowded cells: the numbers
 of parts follow counted sizes, and each task hands on only the best rows of a query, never pairs.
@@ -50,8 +52,12 @@ class Plan:
     probes: int
 
 
+#: The plan of a search that names none. The work of a query grows with the rows.
+PLAN = Plan(2, 16, 400)
+
+
 def plan_for(n: int) -> Plan:
-    """Parameters for n rows: cells hold some rows each, and the share of cells looked into falls as n grows. Beyond 2 ** 22 rows they are extrapolated, not measured."""
+    """Cheaper parameters for n rows, for callers to pass: cells hold some rows each, and the share of cells looked into falls as n grows. Beyond 2 ** 22 rows they are extrapolated, not measured."""
     if n <= 4096:
         return Plan(1, 4, 24)
     if n <= 1 << 22:
@@ -260,13 +266,12 @@ def _spread(coded: DataFrame) -> DataFrame:
     return coded.select("vec_id", "code", F.explode("cells").alias("c")).select("vec_id", "code", "c.cell", "c.lasts")
 
 
-def search(vectors: DataFrame, queries: Column, *, k: int = 10, plan: Plan | None = None, seed: int = 11, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
+def search(vectors: DataFrame, queries: Column, *, k: int = 10, plan: Plan = PLAN, seed: int = 11, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
     """(query_id, rank, vec_id, score): each query's k nearest rows; `queries` is a condition on vec_id."""
     rows = vectors.where(usable(vector_col) & F.col(id_col).isNotNull()).select(F.col(id_col).cast("bigint").alias("vec_id"), F.col(vector_col).cast("array<double>").alias("v"))
     rows = cut(rows.dropDuplicates(["vec_id"]))
     same = F.row_number().over(Window.partitionBy("v").orderBy("vec_id"))
     distinct = cut(rows.withColumn("n", same).where(F.col("n") <= k + 1).drop("n"))
-    plan = plan or plan_for(distinct.count())
     index = _hashed(distinct, plan, 1, seed)
     asked = cut(_hashed(rows.where(queries), plan, plan.probes, seed))
     keep = SPARE * k

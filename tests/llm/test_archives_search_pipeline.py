@@ -160,6 +160,15 @@ def test_pairs_of_axes_find_most_of_the_nearest_in_a_small_share_of_random_rows(
     assert seen.mean() <= 0.16
 
 
+def test_plan_does_not_follow_the_rows(spark, monkeypatch):
+    plans, hashed = [], ann._hashed
+    monkeypatch.setattr(ann, "_hashed", lambda rows, plan, probes, seed: (plans.append((plan, probes)), hashed(rows, plan, probes, seed))[1])
+    for n in (30, 4200):
+        rows = spark.range(n).selectExpr("id AS vec_id", "array(sin(id), cos(id), sin(3 * id), cos(7 * id)) AS embedding")
+        assert ann.search(rows, F.col("vec_id") < 2).count() == 20
+    assert plans[:2] == plans[2:]
+
+
 def test_packed_vectors_keep_their_direction():
     rng = np.random.default_rng(6)
     x = rng.standard_normal((20, 64)) * 10.0 ** rng.integers(-30, 30, (20, 1))

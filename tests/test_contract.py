@@ -30,6 +30,17 @@ def test_query_equals_its_twin(spark, sf, twin, name):
     assert got == Counter(tuple(r[columns.index(c)] for c in names) for r in asked.fetchall())
 
 
+@pytest.mark.parametrize("name", ["decoy_workload", "decoy_control", "random_graph_utility", "small_world_utility"])
+def test_experiments_need_the_given_table(spark, tmp_path, name):
+    with pytest.raises(Exception, match="lineitem"):
+        workloads.QUERIES[name](spark, str(tmp_path))
+
+
+@pytest.mark.parametrize("name", ["decoy_workload", "decoy_control"])
+def test_decoys_of_orders_equal_their_twin(spark, sf, twin, name):
+    test_query_equals_its_twin(spark, sf, twin, name)
+
+
 def test_every_twin_has_a_query_and_entry_runs(spark):
     import __spark_entry__
 

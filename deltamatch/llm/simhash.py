@@ -9,6 +9,10 @@ A bucket over `crowd` fingerprints is split again by the same argument on the bi
 key left open; what then still shares a key differs in at most 16 bits, so no group that
 one task gathers holds over 65,536 fingerprints, however many copies the input holds.
 
+`near_duplicates` groups by these links alone. `similar_groups` and `deduplicate`, for a
+Jaccard similarity, start from the same links, verify them by the shingle sets and go on
+to the pairs that lie further apart.
+
 Null and empty texts have fingerprint zero, linked like any other. Repeated rows are
 copies of each other. Rows with a null id keep their fingerprint and group.
 """
@@ -261,22 +265,53 @@ def _alike(rows: DataFrame, pairs: DataFrame, width: int, similarity: float) ->
     return cut(pairs.join(left, "x").join(right, "y").where(both >= similarity * (F.size("hx") + F.size("hy") - both)).select(F.col("x").alias("a"), F.col("y").alias("b")))
 
 
-def similar_groups(docs: DataFrame, *, width: int = 5, similarity: float = 0.8) -> DataFrame:
+def _blocked(firsts: DataFrame, max_bits: int, blocks: int) -> DataFrame:
+    """Candidates (x, y) by the pigeonhole blocks over f0, the sets' 64-bit fingerprint: they connect sets (first, size, f0) exactly as all pairs within max_bits bits would. Sets without shingles take no part."""
+    prints = cut(firsts.where("size > 0").groupBy(F.col("f0").alias("fp")).agg(F.min("first").alias("least"), F.count("*").alias("n")))
+    linked = links(prints.select("fp"), max_bits=max_bits, blocks=blocks)
+    left, right = prints.select(F.col("fp").alias("a"), F.col("least").alias("x")), prints.select(F.col("fp").alias("b"), F.col("least").alias("y"))
+    apart = linked.join(left, "a").select("x", rekeyed("b")).join(right, "b").select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y"))
+    equal = firsts.where("size > 0").join(prints.where("n > 1"), F.col("f0") == F.col("fp")).where("first <> least").select(F.col("least").alias("x"), F.col("first").alias("y"))
+    return apart.union(equal).where("x <> y")
+
+
+def _heads(rows: DataFrame, again: DataFrame, width: int, similarity: float) -> DataFrame:
+    """(key, id, at): the prefix shingles of each text but those of the ids in `again`, and their places."""
+    common = commonness(rows, width)
+    copies = again.limit(_HELD + 1).toArrow()["doc_id"].to_numpy()
+    shuffled = len(copies) > _HELD
+    copies = np.zeros(0, dtype=np.int64) if shuffled else np.sort(copies)
+
+    def keyed(batches: Iterator[dict]) -> Iterator[dict]:
+        for got in batches:
+            ids = np.array(got["doc_id"], dtype=np.int64)
+            fine = np.flatnonzero(np.searchsorted(copies, ids, "right") == np.searchsorted(copies, ids))
+            for start in range(0, len(fine), 256):
+                chosen = fine[start : start + 256]
+                found = [prefix(np.array(shingle_hashes(got["text"][i], width), dtype=np.int64), similarity, common) for i in chosen.tolist()]
+                yield {"key": np.concatenate(found), "id": np.repeat(ids[chosen], list(map(len, found))), "at": np.concatenate([np.arange(len(x), dtype=np.int32) for x in found])}
+
+    texts = rows.join(again, "doc_id", "left_anti") if shuffled else rows
+    return map_rows(texts, ["doc_id", "text"], "key bigint, id bigint, at int", keyed)
+
+
+def similar_groups(docs: DataFrame, *, width: int = 5, similarity: float = 0.8, max_bits: int = 3, blocks: int = 6) -> DataFrame:
     """(doc_id, component_id): groups of texts whose sets of word shingles have a Jaccard similarity of at least `similarity`, linked by all such pairs.
 
-    Equal sets fall together by digest; texts without words have equal, empty sets. Pigeonhole
-    blocks over 64 bits are only certain for a few differing bits, and this similarity allows
-    far more, so blocks here are shingles: two sets that alike share one of their prefixes,
+    Equal sets fall together by digest; texts without words have equal, empty sets. The others
+    go the way of `near_duplicates`: fingerprints of 64 bits, pigeonhole blocks, links within
+    `max_bits` bits, verified by the shingle sets, and groups. That is only certain for a few
+    differing bits, and this similarity allows far more, so an exact way for the rest goes
+    with it, in which blocks are shingles: two sets that alike share one of their prefixes,
     rare shingles first, and meet under it. Length, the place of the shingle and the Hamming
     distance of wide fingerprints then drop pairs that can't be alike; what is left is verified
-    by the shingle sets. Each key's members first meet its least edited one (that with the
-    fewest rarer shingles, as an original has against its copies), then those that this left
-    in different groups meet each other. Work on texts that share their prefixes without being
-    alike still grows with the square of their number, but makes no rows. Rows with a null
-    doc_id aren't grouped.
+    together with the links. Each key's members first meet its least edited one (that with the
+    fewest rarer shingles, as an original has against its copies), then those that this and
+    the links left in different groups meet each other. Work on texts that share their
+    prefixes without being alike still grows with the square of their number, but
+    makes no rows. Rows with a null doc_id aren't grouped.
     """
     rows = docs.where("doc_id is not null").select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
-    common = commonness(rows, width)
     own = lambda got: [np.sort(np.array(shingle_hashes(t, width), dtype=np.int64)) for t in got["text"]]
     digests = lambda sets: [hashlib.md5(x.tobytes()).hexdigest() for x in sets]
 
@@ -290,21 +325,9 @@ def similar_groups(docs: DataFrame, *, width: int = 5, similarity: float = 0.8)
     # One row for a set; sets that occur once, most of them, needn't be looked up.
     firsts = cut(prints.groupBy("digest").agg(F.min("doc_id").alias("first"), F.count("*").alias("n"), F.first("size").alias("size"), *[F.first(f).alias(f) for f in _SIGS]))
     again = prints.join(firsts.where("n > 1").select("digest", "first"), "digest").where("doc_id <> first").select("doc_id").distinct()
-    copies = again.limit(_HELD + 1).toArrow()["doc_id"].to_numpy()
-    shuffled = len(copies) > _HELD
-    copies = np.zeros(0, dtype=np.int64) if shuffled else np.sort(copies)
-
-    def keyed(batches: Iterator[dict]) -> Iterator[dict]:
-        for got in batches:
-            ids = np.array(got["doc_id"], dtype=np.int64)
-            fine = np.flatnonzero(np.searchsorted(copies, ids, "right") == np.searchsorted(copies, ids))
-            for start in range(0, len(fine), 256):
-                chosen = fine[start : start + 256]
-                found = [prefix(np.array(shingle_hashes(got["text"][i], width), dtype=np.int64), similarity, common) for i in chosen.tolist()]
-                yield {"key": np.concatenate(found), "id": np.repeat(ids[chosen], list(map(len, found))), "at": np.concatenate([np.arange(len(x), dtype=np.int32) for x in found])}
-
-    texts = rows.join(again, "doc_id", "left_anti") if shuffled else rows
-    heads = map_rows(texts, ["doc_id", "text"], "key bigint, id bigint, at int", keyed)
+    # Pairs that the pigeonhole blocks link; then the rest, by shared prefixes.
+    linked = _blocked(firsts, max_bits, blocks)
+    heads = _heads(rows, again, width, similarity)
     place = F.struct("at", "id")
     several = heads.groupBy("key").agg(F.min(place).alias("top"), F.max(place).alias("last")).where("top.id <> last.id").select(rekeyed("key"), "top")
     met = cut(heads.join(several, "key").where("id <> top.id").select("key", "id", "at", "top"))
@@ -313,7 +336,8 @@ def similar_groups(docs: DataFrame, *, width: int = 5, similarity: float = 0.8)
     # The first shingle that two sets share has the least place in both.
     first_met = met.groupBy(F.col("top.id").alias("x"), F.col("id").alias("y")).agg(F.min("top.at").alias("there"), F.min("at").alias("at"))
     pairs = first_met.join(sized, F.col("y") == F.col("sized")).select(rekeyed("x"), "y", "there", full("a", "at"))
-    tried = cut(pairs.join(sized, F.col("x") == F.col("sized")).select("x", "y", "a", full("b", "there")).where(_may(similarity, "a", "b")).select("x", "y"))
+    tried = pairs.join(sized, F.col("x") == F.col("sized")).select("x", "y", "a", full("b", "there")).where(_may(similarity, "a", "b"))
+    tried = cut(tried.select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y")).union(linked).distinct())
     found = _alike(rows, tried, width, similarity)
     joined = cut(components(found))
     # Pairs of a key besides its first member, where they aren't in one group yet.
@@ -324,8 +348,7 @@ def similar_groups(docs: DataFrame, *, width: int = 5, similarity: float = 0.8)
     other = rest.select(rekeyed("key"), F.col("id").alias("y"), F.col("own").alias("its"), F.col("a").alias("b"))
     pairs = rest.join(other, (rest["key"] == other["key"]) & (F.col("id") < F.col("y")) & (F.col("own") != F.col("its")) & _may(similarity, "a", "b"))
     pairs = pairs.select(F.col("id").alias("x"), "y").distinct()
-    known = tried.select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y"))
-    pairs = cut(pairs.join(known, ["x", "y"], "left_anti"))
+    pairs = cut(pairs.join(tried, ["x", "y"], "left_anti"))
     if not pairs.isEmpty():
         joined = components(found.union(_alike(rows, pairs, width, similarity)))
     named = firsts.join(joined, firsts["first"] == joined.node, "left").select("digest", F.coalesce("root", "first").alias("component_id"))

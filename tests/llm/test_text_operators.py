@@ -531,6 +531,46 @@ def test_pairs_whose_first_member_differs_are_still_met(spark):
     assert similar(spark, rows) == [(1, 1), (2, 2), (3, 2)]
 
 
+def test_near_copies_come_from_the_pigeonhole_blocks(spark, monkeypatch):
+    """Pairs within three bits are found by the blocks, with or without the prefix join, and verified; those further apart by the join."""
+    rng = np.random.default_rng(10)
+    draw = lambda n: [f"w{x}" for x in rng.integers(0, 10**6, n)]
+    hashes = lambda words: np.array(simhash.shingle_hashes(" ".join(words), 5), dtype=np.int64)
+    bits = lambda a, b: ((simhash.wide_fingerprint(hashes(a))[0] ^ simhash.wide_fingerprint(hashes(b))[0]) & (1 << 64) - 1).bit_count()
+    pairs = []
+    for n, edits in [(400, 1)] * 20 + [(60, 6)] * 20:
+        words = draw(n)
+        pairs.append((words, words[:-edits] + draw(edits)))
+    unlike = None
+    while unlike is None:  # within three bits, but only 50 of 70 shingles alike
+        words = draw(64)
+        other = words[:20] + draw(1) + words[21:40] + draw(1) + words[41:]
+        unlike = (words, other) if bits(words, other) <= 3 else None
+    pairs.append(unlike)
+    rows = [(2 * i + j, " ".join(words)) for i, pair in enumerate(pairs) for j, words in enumerate(pair)]
+    close = [bits(*pair) <= 3 for pair in pairs]
+    assert sum(close[:40]) >= 10 and not all(close[:40])
+    want = [(2 * i + j, 2 * i + j * (i == 40)) for i in range(41) for j in (0, 1)]
+    assert plain_similar(rows) == want
+    used, links = [], simhash.links
+    monkeypatch.setattr(simhash, "links", lambda fps, **options: (used.append(options), links(fps, **options))[1])
+    assert similar(spark, rows) == want
+    assert used == [{"max_bits": 3, "blocks": 6}]
+    monkeypatch.setattr(simhash, "_heads", lambda *_: spark.createDataFrame([], "key bigint, id bigint, at int"))
+    assert similar(spark, rows) == [(d, c if close[d // 2] else d) for d, c in want]
+
+
+def test_blocked_candidates_connect_what_all_pairs_would(spark):
+    rng = np.random.default_rng(11)
+    bases = [int(x) for x in rng.integers(0, 1 << 62, 30)]
+    prints = [(i, base ^ sum(1 << int(b) for b in rng.choice(64, int(rng.integers(0, 4)), replace=False))) for i, base in enumerate(bases * 6)]
+    signed = [(i, 5, p - (1 << 64) if p >= 1 << 63 else p) for i, p in prints]
+    got = simhash._blocked(spark.createDataFrame([*signed, (900, 0, 0), (901, 0, 0)], "first bigint, size int, f0 bigint"), 3, 6)
+    found = dict(map(tuple, components(got.select(got.x.alias("a"), got.y.alias("b"))).collect()))
+    assert sorted((d, found.get(d, d)) for d, _ in prints) == plain_groups(prints, 3)
+    assert not {900, 901} & set(found)
+
+
 def test_quality_verdicts_equal_their_twin(spark, sf, odd):
     """Counts, quartiles, fences and verdicts against exact quartiles in SQL, on the tables and on odd rows."""
     from collections import Counter
